@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm import bpe, chat, counts, urls
+from graphdelta.llm import bpe, chat, counts, quality, toxicity, urls
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_quality": quality.query,
         "op3_url_filter": urls.query,
+        "op6_toxicity": toxicity.query,
         "op8_token_counts": counts.query,
         "op9_bpe_round_trip": bpe.query,
         "op10_chat_format": chat.query,
