@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphdelta.llm.bpe import BATCH_CHARS, batches
-from graphdelta.llm.common import UPPER, fold, ready, table
+from graphdelta.llm.common import fold, ready, table
 from graphdelta.llm.learning import Logistic, labelled_ids, texts_of
 
 MOST_TEXTS = 2500
@@ -33,12 +33,11 @@ GRAM, BITS, SIGNIFICANT, MARGIN = 6, 20, 10.0, 1
 TOXIC_BYTES, ORDINARY_BYTES = 4000, 2000
 THRESHOLDS = (2, 3, 4, 5, 6, 8)
 DECIDE_AT = 0.5
-_LOWER = str.maketrans(UPPER, UPPER.lower())
 
 
 def plain(text: str) -> bytes:
     """The text as it is compressed: A-Z lower-cased, white space as single spaces, one space around it."""
-    return f" {' '.join(text.translate(_LOWER).split())} ".encode()
+    return b" " + b" ".join(text.encode().lower().split()) + b" "
 
 
 def windows(raw: bytes) -> list[bytes]:
