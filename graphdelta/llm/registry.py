@@ -6,14 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm import bpe, chat, counts, quality, toxicity, urls
+from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, quality, toxicity, urls
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": quality.query,
         "op3_url_filter": urls.query,
+        "op5_ngram_jaccard": jaccard.query,
         "op6_toxicity": toxicity.query,
+        "op7_decontaminate": decontaminate.query,
         "op8_token_counts": counts.query,
         "op9_bpe_round_trip": bpe.query,
         "op10_chat_format": chat.query,
