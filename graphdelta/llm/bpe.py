@@ -13,19 +13,18 @@ from __future__ import annotations
 
 import hashlib
 import json
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterable
 
 import numpy as np
-import pandas as pd
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm.common import ready, table
+from graphdelta.llm.common import map_texts, table
 
 #: Fixed value: the pattern that splits text before the merges of a byte-level file.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-#: Characters that are encoded together, and words whose ids a worker remembers.
-BATCH_CHARS, REMEMBERED = 2_000_000, 400_000
+#: Words whose ids a worker remembers; past it the memory is emptied.
+REMEMBERED = 400_000
 
 
 def byte_letters() -> list[str]:
@@ -152,43 +151,26 @@ def loaded(path: str) -> ByteBpe:
     return _LOADED[path]
 
 
-def batches(frames: Iterator[pd.DataFrame], column: str, most: int) -> Iterator[pd.DataFrame]:
-    """Cut frames into runs of rows of about ``most`` characters; a longer text stands alone."""
-    for frame in frames:
-        if len(frame):
-            place = frame[column].fillna("").str.len().cumsum() // most
-            for _, part in frame.groupby(place.to_numpy(), sort=False):
-                yield part
-
-
 def encode_table(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` columns plus n_tokens, ids (binary, little-endian uint32) of every row's text."""
-    ready(docs.sparkSession)
 
-    def run(frames):
-        tool = loaded(path)
-        for part in batches(frames, "text", BATCH_CHARS):
-            ids = tool.encode_batch(part["text"].fillna("").tolist())
-            yield part[list(keep)].assign(n_tokens=[len(x) // 4 for x in ids], ids=ids)
+    def make(texts: list[str]) -> dict:
+        ids = loaded(path).encode_batch(texts)
+        return {"n_tokens": [len(x) // 4 for x in ids], "ids": ids}
 
-    kept = docs.select(*keep)
-    return docs.select(*keep, "text").mapInPandas(run, kept.schema.add("n_tokens", "long").add("ids", "binary"))
+    return map_texts(docs, keep, make, "n_tokens long, ids binary")
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of every text."""
-    ready(docs.sparkSession)
 
-    def run(frames):
+    def make(texts: list[str]) -> dict:
         tool = loaded(path)
-        for part in batches(frames, "text", BATCH_CHARS):
-            rows = []
-            for doc, raw in zip(part["doc_id"], tool.encode_batch(part["text"].fillna("").tolist()), strict=True):
-                back = tool.decode(np.frombuffer(raw, dtype="<u4").tolist())
-                rows.append((doc, len(raw) // 4, hashlib.sha256(raw).hexdigest(), hashlib.sha256(back.encode("utf-8")).hexdigest()))
-            yield pd.DataFrame(rows, columns=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]).astype({"doc_id": part["doc_id"].dtype})
-
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+        ids = tool.encode_batch(texts)
+        back = [tool.decode(np.frombuffer(x, dtype="<u4").tolist()) for x in ids]
+        return {"n_tokens": [len(x) // 4 for x in ids], "ids_sha256": [hashlib.sha256(x).hexdigest() for x in ids], "decoded_sha256": [hashlib.sha256(x.encode()).hexdigest() for x in back]}
+
+    return map_texts(docs, ("doc_id",), make, "n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def vocabulary(name: str) -> str:

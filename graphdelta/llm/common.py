@@ -6,10 +6,15 @@ import os
 import tempfile
 import uuid
 
+from collections.abc import Callable, Iterator
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
+#: Characters of text that Python works on together; a longer text stands alone.
+BATCH_CHARS = 2_000_000
 #: ASCII white space; everything else belongs to a word.
 WORD_GAP = "[\\x20\\x09-\\x0D]+"
 
@@ -66,3 +71,52 @@ def lower_ascii(column: Column) -> Column:
 def words(column: Column) -> Column:
     """Words of a text after lower-casing A-Z only; null and blank texts give an empty array."""
     return F.filter(F.split(lower_ascii(F.coalesce(column, F.lit(""))), WORD_GAP), lambda w: w != "")
+
+
+def runs(texts: list[str | None], most: int = BATCH_CHARS) -> Iterator[list[str]]:
+    """Stretches of a list, nulls as empty texts, of about ``most`` characters each."""
+    run, size = [], 0
+    for text in texts:
+        text = text or ""
+        if run and size + len(text) > most:
+            yield run
+            run, size = [], 0
+        run.append(text)
+        size += len(text)
+    if run:
+        yield run
+
+
+def map_texts(docs: DataFrame, keep: tuple[str, ...], make: Callable[[list[str]], dict], added: str, most: int = BATCH_CHARS) -> DataFrame:
+    """``keep`` columns of every row, untouched, plus the columns ``added`` that ``make`` returns for its text."""
+    ready(docs.sparkSession)
+    new = StructType.fromDDL(added)
+
+    def work(batches):
+        import pyarrow as pa
+        from pyspark.sql.pandas.types import to_arrow_type
+
+        for batch in batches:
+            at = 0
+            for texts in runs(batch.column("text").to_pylist(), most):
+                part, got = batch.slice(at, len(texts)), make(texts)
+                at += len(texts)
+                columns = [part.column(k) for k in keep] + [pa.array(got[f.name], type=to_arrow_type(f.dataType)) for f in new]
+                yield pa.RecordBatch.from_arrays(columns, names=[*keep, *new.names])
+
+    kept = docs.select(*keep)
+    return docs.select(*dict.fromkeys((*keep, "text"))).mapInArrow(work, StructType([*kept.schema, *new]))
+
+
+def filter_texts(docs: DataFrame, test: Callable[[list[str]], list[bool]]) -> DataFrame:
+    """The rows, with all their columns as they are, whose text passes ``test``."""
+    ready(docs.sparkSession)
+
+    def work(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            passed = [bool(x) for texts in runs(batch.column("text").to_pylist()) for x in test(texts)]
+            yield batch.filter(pa.array(passed, type=pa.bool_()))
+
+    return docs.mapInArrow(work, docs.schema)

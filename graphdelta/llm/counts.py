@@ -19,12 +19,11 @@ import json
 import unicodedata
 
 import numpy as np
-import pandas as pd
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm.bpe import BATCH_CHARS, batches, byte_letters, vocabulary
-from graphdelta.llm.common import ready, table
+from graphdelta.llm.bpe import byte_letters, vocabulary
+from graphdelta.llm.common import map_texts, table
 
 #: The word pattern of the file, and the mark of a word's last letter.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"""
@@ -252,16 +251,13 @@ def loaded(path: str) -> PrefixCounter:
 
 def count_table(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit of every row."""
-    ready(docs.sparkSession)
 
-    def run(frames):
+    def make(texts: list[str]) -> dict:
         tool = loaded(path)
-        for part in batches(frames, "text", BATCH_CHARS):
-            texts = part["text"].fillna("").tolist()
-            tokens = np.array([tool.count(t) for t in texts], dtype=np.int64)
-            yield pd.DataFrame({"doc_id": part["doc_id"], "n_bytes": [len(t.encode("utf-8")) for t in texts], "n_tokens": tokens, "over_limit": tokens > limit})
+        tokens = np.array([tool.count(t) for t in texts], dtype=np.int64)
+        return {"n_bytes": [len(t.encode()) for t in texts], "n_tokens": tokens, "over_limit": tokens > limit}
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
+    return map_texts(docs, ("doc_id",), make, "n_bytes long, n_tokens long, over_limit boolean")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,11 +23,10 @@ from functools import lru_cache
 from itertools import combinations
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.llm.common import ready, table
+from graphdelta.llm.common import filter_texts, map_texts, table
 
 SHINGLE, SIMILARITY = 5, 0.8
 BITS, BLOCKS, RADIUS = 64, 8, 23
@@ -163,32 +162,21 @@ def build(items: DataFrame, similarity: float = SIMILARITY) -> ItemIndex:
 
 def find(docs: DataFrame, index: ItemIndex) -> DataFrame:
     """doc_id, item_id, first_word, n_words, similarity: one row per document and benchmark item found in it."""
-    spark = docs.sparkSession
-    ready(spark)
-    shared = spark.sparkContext.broadcast(index)
+    shared = docs.sparkSession.sparkContext.broadcast(index)
+    hit = "array<struct<item_id:long,first_word:long,n_words:long,similarity:double>>"
 
-    def run(frames):
-        tool = shared.value
-        for part in frames:
-            rows = [(doc, *hit) for doc, text in zip(part["doc_id"], part["text"], strict=True) for hit in tool.search(text)]
-            if rows:
-                yield pd.DataFrame(rows, columns=["doc_id", "item_id", "first_word", "n_words", "similarity"])
+    def make(texts: list[str]) -> dict:
+        names = ("item_id", "first_word", "n_words", "similarity")
+        return {"hits": [[dict(zip(names, h, strict=True)) for h in shared.value.search(t)] for t in texts]}
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, item_id long, first_word long, n_words long, similarity double")
+    found = map_texts(docs, ("doc_id",), make, f"hits {hit}")
+    return found.select("doc_id", F.explode("hits").alias("h")).select("doc_id", "h.*")
 
 
 def clean(docs: DataFrame, index: ItemIndex) -> DataFrame:
     """The rows of ``docs``, all columns, in whose text no item is found."""
-    spark = docs.sparkSession
-    ready(spark)
-    shared = spark.sparkContext.broadcast(index)
-
-    def run(frames):
-        tool = shared.value
-        for part in frames:
-            yield part[[not tool.search(text) for text in part["text"]]]
-
-    return docs.mapInPandas(run, docs.schema)
+    shared = docs.sparkSession.sparkContext.broadcast(index)
+    return filter_texts(docs, lambda texts: [not shared.value.search(t) for t in texts])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,15 +24,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.llm.bpe import batches
-from graphdelta.llm.common import dropped, ready, saved, table
+from graphdelta.llm.common import dropped, map_texts, ready, saved, table
 from graphdelta.llm.components import components
 
 #: A member in more documents than this is frequent.
 LONG_LIST = 16
 #: Frequent members that fit a broadcast; with more of them the bound on list lengths doubles until they fit.
 MOST_FREQUENT = 1 << 20
-BATCH_CHARS = 4_000_000
 #: Bits of the filter that keeps documents without candidates from being hashed again.
 FILTER_BITS = 1 << 23
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D, 0x369DEA0F31A53F85], dtype=np.uint64)
@@ -92,16 +90,13 @@ def digest(h: np.ndarray) -> tuple[int, int]:
 def prefixes(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """doc_id, n_shingles, the digest of the set, and the longest prefix any choice can need."""
 
-    def run(frames):
-        for part in batches(frames, "text", BATCH_CHARS):
-            rows = []
-            for text in part["text"]:
-                h = members(text, n)
-                size = len(h)
-                rows.append((size, *digest(h), h[: base_length(size, percent) + spare_length(size, percent)]))
-            yield pd.DataFrame(rows, columns=["n_shingles", "k1", "k2", "prefix"]).assign(doc_id=part["doc_id"].to_numpy())[["doc_id", "n_shingles", "k1", "k2", "prefix"]]
+    def make(texts: list[str]) -> dict:
+        sets = [members(t, n) for t in texts]
+        keys = [digest(h) for h in sets]
+        cut = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
+        return {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "prefix": cut}
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n_shingles long, k1 long, k2 long, prefix array<long>")
+    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long, prefix array<long>")
 
 
 def frequent_members(reps: DataFrame) -> np.ndarray:
@@ -165,14 +160,14 @@ def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFra
     bits = docs.sparkSession.sparkContext.broadcast(id_filter(ids))
 
     def run(frames):
-        for part in batches(frames, "text", BATCH_CHARS):
+        for part in frames:
             slot = part["slot"].to_numpy()
-            # bucket 1 starts with bit position 0 of value 1
-            bucket, bit = (slot - 1) // 32768 + 1, (slot - 1) % 32768
-            bucket, bit = np.where(slot > 0, bucket, 0), np.where(slot > 0, bit, 0)
-            row = part[(bits.value[bucket, bit // 8] >> (bit % 8)) & 1 == 1]
-            if len(row):
-                yield pd.DataFrame({"id": row["doc_id"], "hs": [members(t, n) for t in row["text"]]})
+            # bucket 1 begins with value 1, bucket 0 holds value 0
+            bucket, bit = np.where(slot > 0, (slot - 1) // 32768 + 1, 0), np.where(slot > 0, (slot - 1) % 32768, 0)
+            rows = part[(bits.value[bucket, bit // 8] >> (bit % 8)) & 1 == 1]
+            for at in range(0, len(rows), 500):
+                some = rows.iloc[at : at + 500]
+                yield pd.DataFrame({"id": some["doc_id"], "hs": [members(t, n) for t in some["text"]]})
 
     slotted = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS)).alias("slot"))
     sets = slotted.mapInPandas(run, "id long, hs array<long>").join(ids.distinct(), "id", "left_semi").dropDuplicates(["id"])

@@ -20,8 +20,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.llm.bpe import BATCH_CHARS, batches
-from graphdelta.llm.common import fold, ready, table
+from graphdelta.llm.common import filter_texts, fold, map_texts, ready, table
 from graphdelta.llm.learning import labelled_ids, texts_of
 
 MOST_TEXTS = 4000
@@ -138,14 +137,13 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST_TEXTS) -> Quality
 
 def score_table(docs: DataFrame, model: QualityModel) -> DataFrame:
     """doc_id, held_out, score, predicted of every row of ``docs``."""
-    ready(docs.sparkSession)
+    scored = map_texts(docs, ("doc_id",), lambda texts: {"score": model.scores(texts)}, "score double")
+    return scored.select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= DECIDE_AT).cast("int").alias("predicted"))
 
-    def run(frames):
-        for part in batches(frames, "text", BATCH_CHARS):
-            yield pd.DataFrame({"doc_id": part["doc_id"], "score": model.scores(part["text"].fillna("").tolist())})
 
-    scored = docs.select("doc_id", "text").mapInPandas(run, "doc_id long, score double")
-    return scored.select("doc_id", (fold("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= DECIDE_AT).cast("int").alias("predicted"))
+def kept(docs: DataFrame, model) -> DataFrame:
+    """The rows that the filter keeps, with all their columns."""
+    return filter_texts(docs, lambda texts: model.scores(texts) >= DECIDE_AT)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
