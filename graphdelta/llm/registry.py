@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, quality, toxicity, urls
+from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, lm, quality, toxicity, urls
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": quality.query,
+        "op2_lm_score": lm.query,
         "op3_url_filter": urls.query,
         "op5_ngram_jaccard": jaccard.query,
         "op6_toxicity": toxicity.query,
