@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, lm, quality, toxicity, urls
+from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, lm, neighbours, quality, toxicity, urls
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_quality": quality.query,
         "op2_lm_score": lm.query,
         "op3_url_filter": urls.query,
+        "op4_near_vectors": neighbours.query,
         "op5_ngram_jaccard": jaccard.query,
         "op6_toxicity": toxicity.query,
         "op7_decontaminate": decontaminate.query,
