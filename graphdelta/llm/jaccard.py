@@ -2,8 +2,9 @@
 
 A text is the set of hashes of its word n-grams, ordered by hash.  Two sets of similarity t or more share at least k of
 the first ``n - ceil(t n) + k`` members, for every k; so a document may lengthen its prefix and ask for more shared
-members in turn.  Each document takes the shortest prefix in which fewer members are frequent than must be shared:
-then some shared member is rare, and only the short lists of rare members are looked at.  A document whose members are
+members in turn.  Each document takes the length under which the members to be shared exceed the frequent ones in the
+prefix by most: so many shared members are rare, only the short lists of rare members are looked at, and a pair
+that shares fewer of them is not verified.  A document whose members are
 frequent nearly throughout (one of a large group of near copies) also enters the lists of its frequent members.
 
 Equal sets are first joined into one representative.  Lists give star pairs, each member with the least one; pairs are
@@ -24,15 +25,15 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.llm.common import dropped, map_texts, ready, saved, table
+from graphdelta.llm.common import dropped, map_texts, ready, released, saved, table
 from graphdelta.llm.components import components
 
 #: A member in more documents than this is frequent.
 LONG_LIST = 16
 #: Frequent members that fit a broadcast; with more of them the bound on list lengths doubles until they fit.
 MOST_FREQUENT = 1 << 20
-#: Bits of the filter that keeps documents without candidates from being hashed again.
-FILTER_BITS = 1 << 23
+#: Bits of the filters that keep lone members and documents without candidates out of the shuffles.
+FILTER_BITS = 1 << 26
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D, 0x369DEA0F31A53F85], dtype=np.uint64)
 _WORDS: dict[bytes, int] = {}
 
@@ -87,31 +88,36 @@ def digest(h: np.ndarray) -> tuple[int, int]:
     return tuple(np.frombuffer(xxh3_128_digest(h.tobytes()), dtype=np.int64).tolist())
 
 
-def prefixes(docs: DataFrame, n: int, percent: int) -> DataFrame:
+def prefixes(docs: DataFrame, n: int, percent: int, with_prefix: bool = True) -> DataFrame:
     """doc_id, n_shingles, the digest of the set, and the longest prefix any choice can need."""
 
     def make(texts: list[str]) -> dict:
         sets = [members(t, n) for t in texts]
         keys = [digest(h) for h in sets]
-        cut = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
-        return {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "prefix": cut}
+        out = {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys]}
+        if with_prefix:
+            out["prefix"] = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
+        return out
 
-    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long, prefix array<long>")
+    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long" + ", prefix array<long>" * with_prefix)
 
 
-def frequent_members(reps: DataFrame) -> np.ndarray:
+def shared_members(reps: DataFrame) -> DataFrame:
+    """(m, count) of the members that stand in more than one prefix."""
+    return saved(reps.select(F.explode("prefix").alias("m")).groupBy("m").count().filter("count > 1"), "shared")
+
+
+def frequent_members(counts: DataFrame) -> np.ndarray:
     """Sorted members in more than LONG_LIST prefixes, at most MOST_FREQUENT of them."""
-    counts = reps.select(F.explode("prefix").alias("m")).groupBy("m").count().filter(F.col("count") > LONG_LIST)
-    counts, bound = saved(counts, "frequent"), LONG_LIST
+    bound = LONG_LIST
     while counts.filter(F.col("count") > bound).count() > MOST_FREQUENT:
         bound *= 2
-    out = np.array(counts.filter(F.col("count") > bound).select("m").toPandas()["m"], dtype=np.int64)
-    dropped(counts)
-    return np.sort(out)
+    return np.sort(np.array(counts.filter(F.col("count") > bound).select("m").toPandas()["m"], dtype=np.int64))
 
 
-def choice(prefix: np.ndarray, size: int, percent: int, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rare members and frequent members under which a document enters the lists."""
+def choice(prefix: np.ndarray, size: int, percent: int, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Rare and frequent members under which a document enters the lists, how much longer its prefix is, and how many
+    frequent members that prefix has.  The length that leaves the most members to be shared is taken."""
     base = base_length(size, percent)
     common = np.zeros(len(prefix), dtype=bool)
     if len(frequent):
@@ -120,58 +126,78 @@ def choice(prefix: np.ndarray, size: int, percent: int, frequent: np.ndarray) ->
     # partners may be smaller by t, and must have looked as far
     farthest = min(spare_length(-(-percent * size // 100), percent), len(prefix) - base)
     before = np.concatenate([[0], np.cumsum(common)])
-    for k in range(1, farthest + 1):
-        if before[base + k] < k:
-            return prefix[: base + k][~common[: base + k]], prefix[:0]
-    return prefix[~common], prefix[: base + 1][common[: base + 1]]
+    k = np.arange(1, farthest + 1)
+    surely = k - before[base + k]  # rare members that a partner must share under each choice
+    if farthest and surely.max() > 0:
+        best = int(k[np.argmax(surely)])
+        return prefix[: base + best][~common[: base + best]], prefix[:0], best, int(before[base + best])
+    return prefix[~common], prefix[: base + 1][common[: base + 1]], len(prefix) - base, int(before[-1])
+
+
+class Bitmap:
+    """Fixed-size filter over numbers: what it lacks is surely not in the set."""
 
+    def __init__(self, numbers: DataFrame):
+        slot = F.col("x").bitwiseXOR(F.shiftrightunsigned("x", 31)).bitwiseAND(FILTER_BITS - 1)
+        rows = numbers.select(slot.alias("s")).distinct().groupBy(F.shiftright("s", 15).alias("b")).agg(F.bitmap_construct_agg(F.col("s").bitwiseAND(32767)).alias("bits")).collect()
+        self.bits = np.zeros(FILTER_BITS // 8, dtype=np.uint8)
+        for r in rows:
+            self.bits[r["b"] * 4096 : r["b"] * 4096 + 4096] = np.frombuffer(r["bits"], dtype=np.uint8)
 
-def listed(reps: DataFrame, percent: int, frequent: np.ndarray) -> DataFrame:
-    """(m, common, rep) rows of the lists."""
-    shared = reps.sparkSession.sparkContext.broadcast(frequent)
+    def has(self, x: np.ndarray) -> np.ndarray:
+        slot = (x ^ (x.view(np.uint64) >> np.uint64(31)).view(np.int64)) & (FILTER_BITS - 1)
+        return (self.bits[slot >> 3] >> (slot & 7).astype(np.uint8)) & 1 == 1
+
+
+def listed(reps: DataFrame, percent: int, frequent: np.ndarray, repeated: Bitmap) -> DataFrame:
+    """(m, common, rep, k, often) rows of the lists; members that stand in one prefix only are left out early."""
+    shared = reps.sparkSession.sparkContext.broadcast((frequent, repeated))
 
     def run(frames):
+        often_known, filter_ = shared.value
         for part in frames:
-            m, common, rep = [], [], []
+            m, common, rep, ks, hs = [], [], [], [], []
             for doc, size, prefix in zip(part["rep"], part["n_shingles"], part["prefix"], strict=True):
-                rare, often = choice(np.asarray(prefix, dtype=np.int64), size, percent, shared.value)
+                rare, often, k, h = choice(np.asarray(prefix, dtype=np.int64), size, percent, often_known)
+                rare = rare[filter_.has(rare)]
                 m += [rare, often]
                 common.append(np.repeat([False, True], [len(rare), len(often)]))
                 rep.append(np.full(len(rare) + len(often), doc))
+                ks.append(np.full(len(rare) + len(often), k))
+                hs.append(np.full(len(rare) + len(often), h))
             if m:
-                yield pd.DataFrame({"m": np.concatenate(m), "common": np.concatenate(common), "rep": np.concatenate(rep)})
+                yield pd.DataFrame({"m": np.concatenate(m), "common": np.concatenate(common), "rep": np.concatenate(rep), "k": np.concatenate(ks), "often": np.concatenate(hs)})
 
-    return reps.select("rep", "n_shingles", "prefix").mapInPandas(run, "m long, common boolean, rep long")
+    return reps.select("rep", "n_shingles", "prefix").mapInPandas(run, "m long, common boolean, rep long, k int, often int")
 
 
-def id_filter(ids: DataFrame) -> np.ndarray:
-    """Bitmap of fixed size over hashed ids."""
-    slot = F.pmod(F.xxhash64("id"), F.lit(FILTER_BITS))
-    rows = ids.select(slot.alias("s")).groupBy(F.bitmap_bucket_number("s").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("s")).alias("bits")).collect()
-    out = np.zeros((FILTER_BITS // 32768 + 2, 4096), dtype=np.uint8)
-    for r in rows:
-        out[r["b"]] = np.frombuffer(r["bits"], dtype=np.uint8)
-    return out
+def likely(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
+    """The pairs whose prefixes share enough members for the similarity; never drops a pair that reaches it.
+
+    Up to the lesser end of two prefixes both sets are known: what lies beyond can add at most the shorter rest.
+    """
+    own = lambda x: reps.select(F.col("rep").alias(x), F.col("n_shingles").alias(f"n{x}"), F.col("prefix").alias(f"p{x}"))
+    two = pairs.join(own("b"), "b").join(own("a"), "a")
+    end = lambda x: F.when(F.size(f"p{x}") == F.col(f"n{x}"), F.lit((1 << 63) - 1)).otherwise(F.element_at(f"p{x}", -1))
+    two = two.withColumn("h", F.least(end("a"), end("b")))
+    upto = lambda c: F.size(F.filter(c, lambda m: m <= F.col("h")))
+    most = upto(F.array_intersect("pa", "pb")) + F.least(F.col("na") - upto(F.col("pa")), F.col("nb") - upto(F.col("pb")))
+    return two.filter((100 + percent) * most >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose whole sets reach the similarity."""
-    ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id")))
-    bits = docs.sparkSession.sparkContext.broadcast(id_filter(ids))
+    """The pairs (a, b) whose whole sets reach the similarity; only documents in pairs are hashed and moved."""
+    ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
+    wanted = docs.sparkSession.sparkContext.broadcast(Bitmap(ids.select(F.col("id").alias("x"))))
 
     def run(frames):
         for part in frames:
-            slot = part["slot"].to_numpy()
-            # bucket 1 begins with value 1, bucket 0 holds value 0
-            bucket, bit = np.where(slot > 0, (slot - 1) // 32768 + 1, 0), np.where(slot > 0, (slot - 1) % 32768, 0)
-            rows = part[(bits.value[bucket, bit // 8] >> (bit % 8)) & 1 == 1]
+            rows = part[wanted.value.has(part["doc_id"].to_numpy(dtype=np.int64))]
             for at in range(0, len(rows), 500):
                 some = rows.iloc[at : at + 500]
                 yield pd.DataFrame({"id": some["doc_id"], "hs": [members(t, n) for t in some["text"]]})
 
-    slotted = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS)).alias("slot"))
-    sets = slotted.mapInPandas(run, "id long, hs array<long>").join(ids.distinct(), "id", "left_semi").dropDuplicates(["id"])
-    sets = saved(sets, "sets")
+    sets = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text").mapInPandas(run, "id long, hs array<long>")
     two = pairs.join(sets.select(F.col("id").alias("b"), F.col("hs").alias("hb")), "b")
     two = two.join(sets.select(F.col("id").alias("a"), F.col("hs").alias("ha")), "a")
     shared = F.size(F.array_intersect("ha", "hb"))
@@ -180,42 +206,63 @@ def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFra
 
 def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id of every row: the least doc_id reachable by links, itself included."""
-    ready(docs.sparkSession)
-    rows = saved(prefixes(docs, n, percent), "prefixes")
-    full = rows.filter((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
+    spark = docs.sparkSession
+    ready(spark)
+    full = prefixes(docs, n, percent).filter((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
     reps = saved(full.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.any_value("prefix").alias("prefix")), "reps")
-    frequent = frequent_members(reps)
-    lists = saved(listed(reps, percent, frequent), "lists")
-    # lists of rare members are short by construction, unless the bound on them had to grow
-    groups = saved(
-        lists.filter(~F.col("common")).groupBy("m").agg(F.sort_array(F.collect_list("rep")).alias("reps")).filter(F.size("reps") > 1).select("reps").distinct(), "groups"
-    )
+    counts = shared_members(reps)
+    frequent, repeated = frequent_members(counts), Bitmap(counts.select(F.col("m").alias("x")))
+    lists = saved(listed(reps, percent, frequent, repeated), "lists")
+    dropped(counts)
+    released(spark)
+    # lists of rare members are short: LONG_LIST, unless too many members were frequent
+    groups = saved(lists.filter("not common").groupBy("m").agg(F.sort_array(F.collect_list(F.struct("rep", "k", "often"))).alias("reps")).filter(F.size("reps") > 1).groupBy("reps").agg(F.count(F.lit(1)).alias("w")), "groups")
     often = saved(lists.filter("common").select("m", "rep"), "often")
-    ends = often.groupBy("m").agg(F.min("rep").alias("low"), F.max("rep").alias("high"))
-    star = groups.select(F.element_at("reps", 1).alias("a"), F.explode(F.slice("reps", 2, 1 << 30)).alias("b"))
-    far = often.join(ends, "m").select(F.explode(F.array(F.struct(F.col("low").alias("x"), F.col("rep").alias("y")), F.struct(F.col("high").alias("x"), F.col("rep").alias("y")))).alias("p")).select(F.least("p.x", "p.y").alias("a"), F.greatest("p.x", "p.y").alias("b"))
-    tried = saved(star.unionByName(far).filter("a < b").distinct(), "pairs")
-    links = saved(verified(docs, tried, n, percent), "links")
-    found = saved(components(links), "components")
-
-    comp = found.select(F.col("id").alias("rep"), "component")
-    # pairs of one list in different components that were not tried yet
-    placed = lambda df: df.join(comp, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    spread = placed(groups.select(F.monotonically_increasing_id().alias("g"), F.explode("reps").alias("rep")))
-    mixed_groups = spread.groupBy("g").agg(F.sort_array(F.collect_list(F.struct("rep", "component"))).alias("x"), F.min("component").alias("c"), F.max("component").alias("d")).filter("c < d")
-    cross = mixed_groups.select("x", F.posexplode("x").alias("i", "p")).select(F.col("p.rep").alias("a"), F.explode(F.filter(F.slice("x", F.col("i") + 2, F.lit(1 << 30)), lambda q: q["component"] != F.col("p.component"))).alias("q")).select("a", F.col("q.rep").alias("b"))
-    wide = placed(often)
-    split = wide.groupBy("m").agg(F.min("component").alias("c"), F.max("component").alias("d")).filter("c < d").select("m")
-    left = wide.join(split, "m", "left_semi")
-    over = left.select("m", F.col("rep").alias("a"), F.col("component").alias("ca")).join(left.select("m", F.col("rep").alias("b"), F.col("component").alias("cb")), "m").filter("a < b and ca != cb").select("a", "b")
-    rest = saved(cross.unionByName(over).distinct().join(tried, ["a", "b"], "left_anti"), "rest")
-    if rest.limit(1).count():
-        more = saved(verified(docs, rest, n, percent), "links")
-        found = saved(components(links.unionByName(more)), "components")
-        comp = found.select(F.col("id").alias("rep"), "component")
-    of_set = reps.select("k1", "k2", "n_shingles", "rep").join(comp, "rep", "left").select("k1", "k2", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
+    dropped(lists)
+
+    def placed(df: DataFrame, comp: DataFrame | None) -> DataFrame:
+        if comp is None:
+            return df.withColumn("component", F.col("rep"))
+        return df.join(comp.select(F.col("id").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+
+    links, tried, comp = None, None, None
+    for leader in (F.min, F.max, None):
+        spread = placed(groups.select(F.xxhash64("reps").alias("g"), "w", F.explode("reps").alias("r")).select("g", "w", "r.*"), comp)
+        mixed_groups = spread.groupBy("g").agg(F.sort_array(F.collect_list(F.struct("rep", "component", "k", "often"))).alias("x"), F.max("w").alias("w"), F.min("component").alias("c"), F.max("component").alias("d")).filter("c < d")
+        wide = placed(often, comp)
+        split = wide.groupBy("m").agg(F.min("component").alias("c"), F.max("component").alias("d")).filter("c < d").select("m")
+        left = wide.join(split, "m", "left_semi")
+        if leader is not None:
+            # a star: each member with one leader of one of its lists
+            end = F.element_at("x", 1 if leader is F.min else -1)
+            star = mixed_groups.select(end.alias("l"), F.explode("x").alias("p")).select("l.rep", "l.component", F.col("p.rep").alias("b"), F.col("p.component").alias("cb"))
+            ends = left.groupBy("m").agg(leader(F.struct("rep", "component")).alias("l"))
+            far = left.join(ends, "m").select("l.rep", "l.component", F.col("rep").alias("b"), F.col("component").alias("cb"))
+            pairs = star.unionByName(far).filter("rep != b and component != cb").groupBy("b").agg(leader("rep").alias("rep")).select(F.least("rep", "b").alias("a"), F.greatest("rep", "b").alias("b"))
+        else:
+            # pairs with the number of rare members they share; the prefixes tell how many it must be
+            both = mixed_groups.select("x", "w", F.posexplode("x").alias("i", "p")).select(
+                "w", "p", F.explode(F.filter(F.slice("x", F.col("i") + 2, F.lit(1 << 30)), lambda q: q["component"] != F.col("p.component"))).alias("q")
+            )
+            must = F.least("p.k", "q.k") - F.least("p.often", "q.often")
+            cross = both.groupBy(F.col("p.rep").alias("a"), F.col("q.rep").alias("b"), must.alias("must")).agg(F.sum("w").alias("w")).filter(F.col("w") >= F.greatest("must", F.lit(1)))
+            over = left.select("m", F.col("rep").alias("a"), F.col("component").alias("ca")).join(left.select("m", F.col("rep").alias("b"), F.col("component").alias("cb")), "m").filter("a < b and ca != cb")
+            pairs = cross.select("a", "b").unionByName(over.select("a", "b"))
+        pairs = pairs.distinct()
+        pairs = saved(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
+        tried = pairs if tried is None else tried.unionByName(pairs)
+        close = saved(likely(pairs, reps, percent), "close")
+        if not close.limit(1).count():
+            continue
+        new = saved(verified(docs, close, n, percent), "links")
+        released(spark)
+        links = new if links is None else links.unionByName(new)
+        comp = saved(components(links), "components")
+    rows = prefixes(docs, n, percent, with_prefix=False)
+    keys = reps.select("k1", "k2", "n_shingles", "rep")
+    of_set = placed(keys, comp).select("k1", "k2", "n_shingles", F.col("component").alias("component_id"))
     alone = F.when((F.col("n_shingles") == 0) | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-    return rows.select("doc_id", "n_shingles", "k1", "k2").join(of_set, ["k1", "k2", "n_shingles"], "left").select("doc_id", "n_shingles", alone.alias("component_id"))
+    return rows.join(of_set, ["k1", "k2", "n_shingles"], "left").select("doc_id", "n_shingles", alone.alias("component_id"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
