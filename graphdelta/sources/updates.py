@@ -28,7 +28,7 @@ def normalise(batch: DataFrame, edges: DataFrame | None = None) -> tuple[DataFra
     """
     rows = batch.filter("src != dst").select("op", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "elabel", "ts", *(["seq"] if "seq" in batch.columns else []))
     order = "seq" if "seq" in batch.columns else "ts"
-    last = rows.groupBy("op", "src", "dst", "elabel").agg(F.max(F.struct(order, "ts")).alias("x")).select("op", "src", "dst", "elabel", "x.ts")
+    last = rows.groupBy("op", "src", "dst", "elabel").agg(F.max(F.struct(F.col(order).alias("o"), "ts")).alias("x")).select("op", "src", "dst", "elabel", "x.ts")
     key = ["src", "dst", "elabel"]
     minus, plus = last.filter("op = '-'").select(*EDGE), last.filter("op = '+'").select(*EDGE)
     out_minus, out_plus = minus.join(plus.select(*key), key, "left_anti"), plus.join(minus.select(*key), key, "left_anti")
