@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphdelta.llm.common import WORD_GAP, fold, lower_ascii, map_texts, ready, runs, saved, table
+from graphdelta.llm.learning import texts_of
 
 #: Classes of the model: the shared one, the end, and the most frequent words.
 CLASSES, WIDTH = 512, 16
@@ -150,7 +151,15 @@ class LogBilinear:
 
 def lexicon(counts: DataFrame, ends: int) -> Lexicon:
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    top = counts.orderBy(F.desc("c"), "token").limit(LOCAL).toPandas()
+    # the least count whose words, with all more frequent ones, fit: a few hundred steps, whatever the corpus holds
+    step = F.floor(F.log2(F.col("c").cast("double")) * 8)
+    held, least = 0, None
+    for r in sorted(counts.groupBy(step.alias("s")).agg(F.count(F.lit(1)).alias("n"), F.min("c").alias("low")).collect(), key=lambda r: -r["s"]):
+        held += r["n"]
+        if held > LOCAL:
+            break
+        least = r["low"]
+    top = counts.filter(F.col("c") >= F.lit(least) if least else F.lit(False)).toPandas().sort_values(["c", "token"], ascending=[False, True])
     return Lexicon(top["token"].tolist(), top["c"].tolist(), ends, int(total), int(distinct))
 
 
@@ -158,7 +167,8 @@ def train(docs: DataFrame, lex: Lexicon) -> LogBilinear:
     """Train over all texts of ``docs``."""
     ready(docs.sparkSession)
     model = LogBilinear(lex.share)
-    first = docs.select("doc_id", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(FIRST_TEXTS).collect()
+    ids = docs.filter(F.col("doc_id").isNotNull()).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(FIRST_TEXTS).distinct()
+    first = texts_of(docs, ids).orderBy("doc_id").collect()
     sample = [lex.classes(lex.places(cut(r["text"] or ""))) for r in first]
     if not sample:
         return model
