@@ -78,7 +78,7 @@ def stretches(toxic: list[bytes], excess: np.ndarray, least: float) -> dict[byte
 class ToxicModel:
     """Two dictionaries and the regression; small enough to travel with every task."""
 
-    def __init__(self, toxic: list[str], ordinary: list[str]):
+    def __init__(self, toxic: list[str], ordinary: list[str], share: float | None = None):
         bad, good = sorted({plain(t) for t in toxic}), sorted({plain(t) for t in ordinary})
         self.constant = None if bad and good else float(bool(bad))
         if self.constant is not None:
@@ -101,6 +101,8 @@ class ToxicModel:
         self.passing = (sum(c for _, c, _ in counts) + 1) / (total + 2)
         x = np.array([self.of_counts(*c) for c in [*map(self.counts, bad), *counts]])
         self.regression = Logistic(x, np.array([1.0] * len(bad) + [0.0] * len(good)))
+        if share is not None and 0 < share < 1:  # the sample takes as many of either class; the scores follow the true share
+            self.regression.w[-1] += np.log(share / (1 - share)) - np.log(len(bad) / len(good))
 
     def __getstate__(self):
         return {k: v for k, v in self.__dict__.items() if k != "tools"}
@@ -132,7 +134,9 @@ class ToxicModel:
 
 def train(docs: DataFrame, labels: DataFrame, most: int = MOST_TEXTS) -> ToxicModel:
     rows = texts_of(docs, labelled_ids(labels, "toxic", most)).orderBy("doc_id").collect()
-    return ToxicModel([r["text"] for r in rows if r["y"] == 1], [r["text"] for r in rows if r["y"] == 0])
+    known = labels.filter(F.col("toxic").isin(0, 1) & (fold("doc_id", 5) != 0))
+    share = known.agg(F.avg(F.col("toxic").cast("double"))).first()[0]
+    return ToxicModel([r["text"] for r in rows if r["y"] == 1], [r["text"] for r in rows if r["y"] == 0], share)
 
 
 def score_table(docs: DataFrame, model: ToxicModel) -> DataFrame:
