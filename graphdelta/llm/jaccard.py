@@ -5,11 +5,14 @@ the first ``n - ceil(t n) + k`` members, for every k; so a document may lengthen
 members in turn.  Each document takes the length under which the members to be shared exceed the frequent ones in the
 prefix by most: so many shared members are rare, only the short lists of rare members are looked at, and a pair
 that shares fewer of them is not verified.  A document whose members are
-frequent nearly throughout (one of a large group of near copies) also enters the lists of its frequent members.
-
-Equal sets are first joined into one representative.  Lists give star pairs, each member with the least one; pairs are
-verified on whole sets, and components follow.  Then the pairs that are still in different components are verified
-too, so no link that matters to a component is lost, while the pairs within a group are never listed.  Which members
+frequent nearly throughout (one of a large group of near copies) is wide: its prefix is taken again from its whole set,
+rarest member first as counted among wide documents, where members that no other wide document has use up the prefix.
+
+Equal sets are first joined into one representative.  Lists give star pairs, each member with one leader, in lists of
+wide documents the one whose members stand in most documents; pairs are verified on whole sets, and components
+follow.  Then the pairs that are still in different components are verified too, if the places of the shared member
+leave enough members for the similarity; so no link that matters to a component is lost, while the pairs within a
+group are never listed.  Which members
 count as frequent changes the work, never the result.
 
 Defined results: null and blank texts have an empty set and are linked with nothing; a text of fewer words than n is
@@ -88,18 +91,16 @@ def digest(h: np.ndarray) -> tuple[int, int]:
     return tuple(np.frombuffer(xxh3_128_digest(h.tobytes()), dtype=np.int64).tolist())
 
 
-def prefixes(docs: DataFrame, n: int, percent: int, with_prefix: bool = True) -> DataFrame:
+def prefixes(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """doc_id, n_shingles, the digest of the set, and the longest prefix any choice can need."""
 
     def make(texts: list[str]) -> dict:
         sets = [members(t, n) for t in texts]
         keys = [digest(h) for h in sets]
-        out = {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys]}
-        if with_prefix:
-            out["prefix"] = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
-        return out
+        most = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
+        return {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "prefix": most}
 
-    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long" + ", prefix array<long>" * with_prefix)
+    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long, prefix array<long>")
 
 
 def shared_members(reps: DataFrame) -> DataFrame:
@@ -185,9 +186,8 @@ def likely(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
     return two.filter((100 + percent) * most >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
 
 
-def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose whole sets reach the similarity; only documents in pairs are hashed and moved."""
-    ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
+def whole_sets(docs: DataFrame, ids: DataFrame, n: int) -> DataFrame:
+    """(id, hs), the whole sets of the documents ``ids`` and of few others; only they are hashed and moved."""
     wanted = docs.sparkSession.sparkContext.broadcast(Bitmap(ids.select(F.col("id").alias("x"))))
 
     def run(frames):
@@ -197,7 +197,33 @@ def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFra
                 some = rows.iloc[at : at + 500]
                 yield pd.DataFrame({"id": some["doc_id"], "hs": [members(t, n) for t in some["text"]]})
 
-    sets = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text").mapInPandas(run, "id long, hs array<long>")
+    return docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text").mapInPandas(run, "id long, hs array<long>")
+
+
+def ordered(docs: DataFrame, ids: DataFrame, n: int, percent: int) -> DataFrame:
+    """(m, rep, size, at, weight) of the prefixes of the documents ``ids``, rarest member first.
+
+    Members are counted among these documents.  Those of one document only come first and are left out of the lists, but
+    keep their places ``at``; a document with too many of them can have no link.  ``weight`` is the mean count of a
+    document's members: the centre of a group of near copies has the greatest.
+    """
+    own = whole_sets(docs, ids, n).join(ids, "id", "left_semi").dropDuplicates(["id"])
+    each = saved(own.select(F.col("id").alias("rep"), F.size("hs").alias("size"), F.explode("hs").alias("m")), "wide")
+    known = each.join(each.groupBy("m").agg(F.count(F.lit(1)).alias("c")), "m")
+    sets = known.groupBy("rep", "size").agg(F.sort_array(F.collect_list(F.struct("c", "m"))).alias("x"), F.avg("c").alias("weight"))
+    least = F.expr(f"({percent} * size + 99) div 100")  # members to be shared with any partner, and the least partner's size
+    lone = F.size(F.filter("x", lambda q: q["c"] == 1))
+    able = sets.filter((100 + percent) * (F.col("size") - lone) >= percent * (F.col("size") + least))
+    placed = able.select("rep", "size", "weight", F.posexplode(F.slice("x", F.lit(1), (F.col("size") - least + 1).cast("int"))).alias("at", "q"))
+    lists = saved(placed.filter("q.c > 1").select("q.m", "rep", "size", "at", "weight"), "ordered")
+    dropped(each)
+    return lists
+
+
+def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFrame:
+    """The pairs (a, b) whose whole sets reach the similarity."""
+    ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
+    sets = whole_sets(docs, ids, n)
     two = pairs.join(sets.select(F.col("id").alias("b"), F.col("hs").alias("hb")), "b")
     two = two.join(sets.select(F.col("id").alias("a"), F.col("hs").alias("ha")), "a")
     shared = F.size(F.array_intersect("ha", "hb"))
@@ -208,8 +234,8 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id of every row: the least doc_id reachable by links, itself included."""
     spark = docs.sparkSession
     ready(spark)
-    full = prefixes(docs, n, percent).filter((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
-    reps = saved(full.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.any_value("prefix").alias("prefix")), "reps")
+    full = saved(prefixes(docs, n, percent), "prefixes")
+    reps = saved(full.filter((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull()).groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.any_value("prefix").alias("prefix")), "reps")
     counts = shared_members(reps)
     frequent, repeated = frequent_members(counts), Bitmap(counts.select(F.col("m").alias("x")))
     lists = saved(listed(reps, percent, frequent, repeated), "lists")
@@ -217,7 +243,7 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     released(spark)
     # lists of rare members are short: LONG_LIST, unless too many members were frequent
     groups = saved(lists.filter("not common").groupBy("m").agg(F.sort_array(F.collect_list(F.struct("rep", "k", "often"))).alias("reps")).filter(F.size("reps") > 1).groupBy("reps").agg(F.count(F.lit(1)).alias("w")), "groups")
-    often = saved(lists.filter("common").select("m", "rep"), "often")
+    often = ordered(docs, lists.filter("common").select(F.col("rep").alias("id")).distinct(), n, percent)
     dropped(lists)
 
     def placed(df: DataFrame, comp: DataFrame | None) -> DataFrame:
@@ -236,9 +262,11 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
             # a star: each member with one leader of one of its lists
             end = F.element_at("x", 1 if leader is F.min else -1)
             star = mixed_groups.select(end.alias("l"), F.explode("x").alias("p")).select("l.rep", "l.component", F.col("p.rep").alias("b"), F.col("p.component").alias("cb"))
-            ends = left.groupBy("m").agg(leader(F.struct("rep", "component")).alias("l"))
-            far = left.join(ends, "m").select("l.rep", "l.component", F.col("rep").alias("b"), F.col("component").alias("cb"))
-            pairs = star.unionByName(far).filter("rep != b and component != cb").groupBy("b").agg(leader("rep").alias("rep")).select(F.least("rep", "b").alias("a"), F.greatest("rep", "b").alias("b"))
+            rank = F.struct("weight", "size", "rep", "component") if leader is F.min else F.struct("size", "weight", "rep", "component")
+            ends = left.groupBy("m").agg(F.max(rank).alias("l"))
+            far = left.select("m", F.col("rep").alias("b"), F.col("component").alias("cb")).join(ends, "m").filter("l.rep != b and l.component != cb")
+            pairs = star.filter("rep != b and component != cb").groupBy("b").agg(leader("rep").alias("rep"))
+            pairs = pairs.unionByName(far.groupBy("b").agg(F.max("l").alias("l")).select("b", "l.rep")).select(F.least("rep", "b").alias("a"), F.greatest("rep", "b").alias("b"))
         else:
             # pairs with the number of rare members they share; the prefixes tell how many it must be
             both = mixed_groups.select("x", "w", F.posexplode("x").alias("i", "p")).select(
@@ -246,7 +274,9 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
             )
             must = F.least("p.k", "q.k") - F.least("p.often", "q.often")
             cross = both.groupBy(F.col("p.rep").alias("a"), F.col("q.rep").alias("b"), must.alias("must")).agg(F.sum("w").alias("w")).filter(F.col("w") >= F.greatest("must", F.lit(1)))
-            over = left.select("m", F.col("rep").alias("a"), F.col("component").alias("ca")).join(left.select("m", F.col("rep").alias("b"), F.col("component").alias("cb")), "m").filter("a < b and ca != cb")
+            # at the first shared member of a pair no more than the rest of either set can be shared
+            side = lambda x: left.select("m", F.col("rep").alias(x), F.col("component").alias(f"c{x}"), F.col("size").alias(f"n{x}"), (F.col("size") - F.col("at")).alias(f"r{x}"))
+            over = side("a").join(side("b"), "m").filter(f"a < b and ca != cb and {100 + percent} * least(ra, rb) >= {percent} * (na + nb)")
             pairs = cross.select("a", "b").unionByName(over.select("a", "b"))
         pairs = pairs.distinct()
         pairs = saved(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
@@ -258,7 +288,7 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
         released(spark)
         links = new if links is None else links.unionByName(new)
         comp = saved(components(links), "components")
-    rows = prefixes(docs, n, percent, with_prefix=False)
+    rows = full.select("doc_id", "n_shingles", "k1", "k2")
     keys = reps.select("k1", "k2", "n_shingles", "rep")
     of_set = placed(keys, comp).select("k1", "k2", "n_shingles", F.col("component").alias("component_id"))
     alone = F.when((F.col("n_shingles") == 0) | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
