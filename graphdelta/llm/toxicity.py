@@ -5,9 +5,9 @@ bytes the toxic one is shorter is the window's distance.  Thresholds on that dis
 windows of ordinary training text pass them, and a small logistic regression over a text's counts above its expected
 counts gives the score.
 
-The toxic dictionary is made of the stretches of toxic training texts whose byte n-grams stand in significantly
-more toxic texts than ordinary ones, most frequent last (where zstandard finds them nearest); the ordinary one is
-trained by zstandard on windows of ordinary texts.  Training texts are a bounded sample of labelled rows
+The ordinary dictionary is trained by zstandard on windows of ordinary texts.  The toxic one is the same bytes
+followed by the stretches of toxic training texts whose byte n-grams stand in significantly more toxic texts than
+ordinary ones, most frequent last (where zstandard finds them nearest), so ordinary words cost the same under both.  Training texts are a bounded sample of labelled rows
 (``MOST_TEXTS`` of each class, by a hash of the id, outside the held-out fold); the model has a fixed size.
 
 Defined results: null and empty texts have no window and get the score of a text without toxic windows; equal texts
@@ -26,9 +26,10 @@ from graphdelta.llm.common import filter_texts, fold, map_texts, table
 from graphdelta.llm.learning import Logistic, labelled_ids, texts_of
 
 MOST_TEXTS = 2500
-WINDOW, STRIDE, LEVEL = 32, 10, 3
-GRAM, BITS, SIGNIFICANT, MARGIN = 6, 20, 10.0, 1
-TOXIC_BYTES, ORDINARY_BYTES = 4000, 2000
+WINDOW, STRIDE, LEVEL = 32, 12, 7
+#: Significance is asked for as a share of the greatest there is, so that it does not depend on the number of texts.
+GRAM, BITS, SIGNIFICANT = 6, 20, 0.1
+TOXIC_BYTES, ORDINARY_BYTES = 6000, 2000
 THRESHOLDS = (2, 3, 4, 5, 6, 8)
 DECIDE_AT = 0.5
 
@@ -64,13 +65,15 @@ def significance(toxic: list[bytes], ordinary: list[bytes]) -> np.ndarray:
 
 
 def stretches(toxic: list[bytes], excess: np.ndarray, least: float) -> dict[bytes, int]:
-    """Significant stretches with a little context, and in how many texts each stands."""
+    """Significant stretches, and in how many texts each stands; a stretch ends where significance falls to half its peak."""
     found: dict[bytes, int] = {}
     for raw in toxic:
-        hot = np.flatnonzero(excess[gram_ids(raw)] >= least)
+        ids = gram_ids(raw)
+        hot = np.flatnonzero(excess[ids] >= least)
         if len(hot):
             runs = np.split(hot, np.flatnonzero(np.diff(hot) > GRAM) + 1)
-            for s in {raw[max(0, r[0] - MARGIN) : r[-1] + GRAM + MARGIN] for r in runs}:
+            cores = (r[of >= of.max() / 2] for r, of in ((r, excess[ids[r]]) for r in runs))
+            for s in {raw[c[0] : c[-1] + GRAM] for c in cores}:
                 found[s] = found.get(s, 0) + 1
     return found
 
@@ -85,16 +88,14 @@ class ToxicModel:
             return
         excess = significance(bad, good)
         found: dict[bytes, int] = {}
-        for least in (SIGNIFICANT, SIGNIFICANT / 2, SIGNIFICANT / 4, 0.0):
-            if found := stretches(bad, excess, least):
-                break
-        found = found or {b[:200]: 1 for b in bad}
+        found = stretches(bad, excess, max(SIGNIFICANT * excess.max(), 0.0)) or {b[:200]: 1 for b in bad}
         self.toxic = b"".join(sorted(found, key=lambda s: (found[s], s)))[-TOXIC_BYTES:]
         samples = [w for t in good for w in windows(t)[::4]]
         try:
             self.ordinary = zstandard.train_dictionary(ORDINARY_BYTES + 1000, samples[:: 1 + len(samples) // 30_000]).as_bytes()[-ORDINARY_BYTES:]
         except zstandard.ZstdError:  # too little text to train on
             self.ordinary = b"".join(samples)[-ORDINARY_BYTES:]
+        self.toxic = self.ordinary + self.toxic  # ordinary words cost the same under both
         self.passing = np.full(len(THRESHOLDS), 1e-4)
         counts = [self.counts(t) for t in good]
         total = sum(n for n, _, _ in counts)
