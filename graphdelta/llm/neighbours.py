@@ -6,10 +6,12 @@ product, and proposes the pairs that improve a list.  Rounds go on while lists c
 set of vectors against all rows, in blocks, finds the wanted recall.  Edges at or over the threshold, checked in
 double precision, are the links; components follow from them.
 
-A list that is full of links is saturated: its vector has more links than the list holds.  Such lists are enlarged
-to the whole component, whose members are compared in pairs of blocks of fixed size; only counts leave a block pair,
-so a group of thousands of near copies costs comparisons but no listed pairs.  Equal vectors are one vector with a
-multiplicity.
+A list that is full of links is saturated: its vector may have more links than the list holds, and nearer ones hide
+them.  Every saturated vector is compared with all rows, in bounded parts; only pairs of components that a link joins
+leave a task.  A pair that a list drops in some round leaves a saturated list behind, so it is met again there.  If the
+audit stays below the wanted recall after the last round, all vectors are compared with all rows.  The members of each
+component then meet in pairs of blocks of fixed size, and only counts leave a block pair, so a group of thousands of
+near copies costs comparisons but no listed pairs.  Equal vectors are one vector with a multiplicity.
 
 Defined results: vectors that are null, empty or zero or hold a null or non-finite component link with nothing, as
 do vectors of different lengths with each other; a row without vec_id links with nothing, has a null component and is
@@ -32,6 +34,8 @@ TABLES, CELL, MOST_ROUNDS = 3, 96, 6
 #: Vectors of the audit, the recall it asks for, and rows compared at once.
 AUDITED, RECALL, BLOCK = 200, 0.98, 512
 STILL = 0.02
+#: Numbers in the vectors that travel to the tasks at once, and what single precision may be off by.
+TRAVEL, SLACK = 1 << 20, 1e-4
 
 
 def matrix(column: pd.Series, kind=np.float64) -> np.ndarray:
@@ -153,7 +157,7 @@ def audit(units: DataFrame, links: DataFrame, threshold: float = THRESHOLD, most
 
 def exact(reps: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
     """Pairs of the lists whose cosine in double precision reaches the threshold."""
-    near = lists.filter(F.col("cos") >= threshold - 1e-4).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    near = lists.filter(F.col("cos") >= threshold - SLACK).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     two = near.join(reps.select(F.col("id").alias("a"), F.col("v").alias("va")), "a").join(reps.select(F.col("id").alias("b"), F.col("v").alias("vb")), "b")
 
     def work(frames):
@@ -165,6 +169,49 @@ def exact(reps: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
     return two.mapInPandas(work, "a long, b long")
 
 
+def saturated(lists: DataFrame, threshold: float) -> DataFrame:
+    """(id) of the vectors whose list is full of links."""
+    held = lists.groupBy("a").agg(F.count(F.lit(1)).alias("n"), F.min("cos").alias("low"))
+    return held.filter((F.col("n") >= NEIGHBOURS) & (F.col("low") >= threshold - SLACK)).select(F.col("a").alias("id"))
+
+
+def widened(reps: DataFrame, size: int, some: DataFrame, comp: DataFrame, threshold: float) -> DataFrame:
+    """(id, component) after every link of the vectors ``some`` (id), compared with all rows, has joined components."""
+    spark = reps.sparkSession
+    placed = saved(reps.select("id", "v").join(comp, "id", "left").select("id", "v", F.coalesce("component", "id").alias("component"), F.col("component").isNotNull().alias("linked")), "placed")
+    asked = saved(placed.join(some, "id", "left_semi").select("id", "v", "component"), "asked")
+    parts = -(-asked.count() // max(TRAVEL // size, BLOCK))
+    pairs = []
+    for k in range(parts):
+        part = asked.filter(F.pmod(F.xxhash64("id"), F.lit(parts)) == k).select("v", "component").toPandas()
+        if not len(part):
+            continue
+        shared = spark.sparkContext.broadcast((unit(matrix(part["v"])), part["component"].to_numpy()))
+
+        def work(frames, shared=shared):
+            x, own = shared.value
+            flat = x.astype(np.float32).T
+            for rows in frames:
+                if not len(rows):
+                    continue
+                y, theirs = unit(matrix(rows["v"])), rows["component"].to_numpy()
+                for at in range(0, len(y), BLOCK):
+                    here = slice(at, at + BLOCK)
+                    i, j = np.nonzero((y[here].astype(np.float32) @ flat >= threshold - SLACK) & (theirs[here][:, None] != own))
+                    sure = np.einsum("ij,ij->i", y[at + i], x[j]) >= threshold
+                    yield pd.DataFrame({"a": theirs[at + i[sure]], "b": own[j[sure]]}).drop_duplicates()
+
+        pairs.append(saved(placed.select("v", "component").mapInPandas(work, "a long, b long").distinct(), "pairs"))
+    if not pairs:
+        return comp
+    every = pairs[0]
+    for p in pairs[1:]:
+        every = every.unionByName(p)
+    merged = components(every).select(F.col("id").alias("component"), F.col("component").alias("joined"))
+    after = placed.join(merged, "component", "left").filter(F.col("linked") | F.col("joined").isNotNull())
+    return saved(after.select("id", F.coalesce("joined", "component").alias("component")), "components")
+
+
 def link_counts(reps: DataFrame, comp: DataFrame, threshold: float) -> DataFrame:
     """(id, n): other vectors linked directly, from block pairs within each component."""
     sizes = comp.groupBy("component").count().withColumn("blocks", F.ceil(F.col("count") / BLOCK).cast("int"))
@@ -203,10 +250,11 @@ def linked(reps: DataFrame, size: int, threshold: float) -> DataFrame:
         lists = after
         if turn and (changed <= STILL * NEIGHBOURS * max(count, 1) or turn == MOST_ROUNDS - 1 or turn % 2):
             comp = saved(components(exact(reps, lists, threshold)), "components")
+            comp = widened(reps, size, saturated(lists, threshold), comp, threshold)
             if audit(units, comp, threshold) >= RECALL:
                 break
-    if comp is None:
-        comp = saved(components(exact(reps, lists, threshold)), "components")
+    else:
+        comp = widened(reps, size, units.select("id"), comp, threshold)
     return link_counts(reps, comp, threshold).join(comp, "id")
 
 

@@ -54,3 +54,33 @@ def test_near_vectors_equal_brute_force(spark):
     assert all(got[i]["component_id"] == i and got[i]["n_links"] == 0 and got[i]["kept"] for i in range(1000, 1006))
     assert not got[None]["kept"]
     assert neighbours.near_copies(table.select("vec_id", "embedding").limit(0)).count() == 0
+
+
+def groups_with_bridges(dims=32):
+    """Two tight groups of 20 distinct vectors; every vector's eight nearest lie in its own group, all links cross."""
+    rng = np.random.default_rng(2)
+    angle = np.arccos(0.965)
+    near = np.eye(dims)[0]
+    far = np.cos(angle) * np.eye(dims)[0] + np.sin(angle) * np.eye(dims)[1]
+    return np.concatenate([c + rng.normal(0, 0.002, (20, dims)) for c in (near, far)])
+
+
+def test_links_behind_nearer_neighbours_are_found(spark):
+    x = groups_with_bridges()
+    s = (x / np.linalg.norm(x, axis=1)[:, None]) @ (x / np.linalg.norm(x, axis=1)[:, None]).T
+    assert (s >= neighbours.THRESHOLD).all()
+    assert all((np.argsort(-s[i])[:9] // 20 == i // 20).all() for i in range(40))
+    table = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = neighbours.near_copies(table).collect()
+    assert {(r["n_links"], r["component_id"]) for r in got} == {(39, 0)}
+    assert [r["vec_id"] for r in got if r["kept"]] == [0]
+
+
+def test_all_rows_are_compared_when_the_audit_stays_low(spark, monkeypatch):
+    monkeypatch.setattr(neighbours, "audit", lambda *_: 0.0)
+    monkeypatch.setattr(neighbours, "exact", lambda reps, lists, threshold: lists.select("a", "b").limit(0))
+    monkeypatch.setattr(neighbours, "saturated", lambda lists, threshold: lists.select(lists.a.alias("id")).limit(0))
+    monkeypatch.setattr(neighbours, "MOST_ROUNDS", 2)
+    table = spark.createDataFrame([(1, [1.0, 0.0]), (2, [1.0, 0.01]), (3, [0.0, 1.0]), (4, [1.0, -0.01])], "vec_id long, embedding array<double>")
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in neighbours.near_copies(table).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 3: (0, 3), 4: (2, 1)}
