@@ -6,7 +6,8 @@ terms.
 
 from __future__ import annotations
 
-from functools import reduce
+from contextvars import ContextVar
+from functools import reduce, wraps
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -61,9 +62,31 @@ def named(graph: str, name: str) -> Pattern:
     return COMMERCE[name] if graph == "commerce" else pattern(graph, name)
 
 
+#: Whether a query that runs now takes the graphs of whole tables instead of their slices.
+_WHOLE: ContextVar[bool] = ContextVar("whole", default=False)
+
+
+def made(spark, d: str, graph: str) -> PropertyGraph:
+    return (builders.WHOLE if _WHOLE.get() and graph in builders.WHOLE else builders.GRAPHS)[graph](spark, d)
+
+
+def whole(f):
+    """The query ``f`` over all events and all orders."""
+
+    @wraps(f)
+    def run(spark, d):
+        token = _WHOLE.set(True)
+        try:
+            return f(spark, d)
+        finally:
+            _WHOLE.reset(token)
+
+    return run
+
+
 def build(spark, d: str, graph: str) -> PropertyGraph:
     """A graph whose tables are written once, as a stream of updates would find them."""
-    g = builders.GRAPHS[graph](spark, d)
+    g = made(spark, d, graph)
     return PropertyGraph(cut(g.vertices), cut(g.edges))
 
 
@@ -188,7 +211,7 @@ def _static(graph: str, shape: str, semantics: str, strategy: str = "first"):
 
 def _fill() -> None:
     for graph in ("copurchase", "cobrand", "interaction", "interaction_skew", "commerce"):
-        register(f"{graph}_edges", EDGES_SQL[graph])(lambda s, d, graph=graph: builders.GRAPHS[graph](s, d).edges)
+        register(f"{graph}_edges", EDGES_SQL[graph])(lambda s, d, graph=graph: made(s, d, graph).edges)
     register("similarity_edges")(lambda s, d: builders.similarity(s, d).edges)
     for graph in ("copurchase", "interaction", "commerce"):
         q = f"WITH edges AS ({EDGES_SQL[graph]}), deg AS (SELECT vid, count(*) AS degree FROM (SELECT unnest([src, dst]) AS vid FROM edges) GROUP BY vid), lab AS (SELECT elabel, count(*) AS c FROM edges GROUP BY elabel)"
@@ -399,3 +422,12 @@ def _distinct(s, d):
     q = Pattern((None,) * 3, ((0, 1, None), (1, 2, None), (0, 2, None)))
     arcs = cut(build(s, d, "interaction").arcs())
     return distinct_subgraphs(match(relations(arcs, q), q, orders.any_connected(q)), 3).agg(F.count(F.lit(1)).alias("n_subgraphs"))
+
+
+#: Parts of the names of queries that take no sliced graph.
+UNSLICED = ("commerce", "two_lines", "similarity", "advise_table", "stream_window_counts")
+
+# the same queries over whole tables; SQL over them is too slow, tests hold them against brute force
+for _name, _query in list(QUERIES.items()):
+    if not any(part in _name for part in UNSLICED):
+        register(f"{_name}_all")(whole(_query))

@@ -35,6 +35,16 @@ def cobrand(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return _together(spark, sf_dir, read(spark, sf_dir, "orders").filter("o_orderpriority = '1-URGENT'"), "p_brand")
 
 
+def copurchase_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """Parts bought together in any order; vertex labels are part types."""
+    return _together(spark, sf_dir, read(spark, sf_dir, "orders"), "p_type")
+
+
+def cobrand_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """Parts bought together in any order; vertex labels are brands."""
+    return _together(spark, sf_dir, read(spark, sf_dir, "orders"), "p_brand")
+
+
 def previous_user(events: DataFrame) -> DataFrame:
     """Each event with the user of the event before it by (ts, event_id), over all events.
 
@@ -49,9 +59,11 @@ def previous_user(events: DataFrame) -> DataFrame:
     return inside.join(carried, "hour").select("event_id", "ts", "user_id", "event_type", "value", F.coalesce("before", "carried").alias("previous"))
 
 
-def interaction(spark: SparkSession, sf_dir: str, since: str = "2024-01-30", label=None) -> PropertyGraph:
-    """Users that act one after the other; edge labels are event types, all vertices are alike."""
-    rows = previous_user(read(spark, sf_dir, "events")).filter((F.col("ts") >= F.lit(since).cast("timestamp")) & F.col("previous").isNotNull() & (F.col("previous") != F.col("user_id")))
+def interaction(spark: SparkSession, sf_dir: str, since: str | None = "2024-01-30", label=None) -> PropertyGraph:
+    """Users that act one after the other, from a time on or ever; edge labels are event types, all vertices are alike."""
+    rows = previous_user(read(spark, sf_dir, "events")).filter(F.col("previous").isNotNull() & (F.col("previous") != F.col("user_id")))
+    if since is not None:
+        rows = rows.filter(F.col("ts") >= F.lit(since).cast("timestamp"))
     ends = rows.select(F.least("user_id", "previous").alias("src"), F.greatest("user_id", "previous").alias("dst"), (F.col("event_type") if label is None else label).alias("elabel"), "ts", "event_id")
     first = ends.groupBy("src", "dst").agg(F.min(F.struct("ts", "event_id", "elabel")).alias("f"))
     edges = first.select("src", "dst", "f.elabel", "f.ts")
@@ -59,9 +71,19 @@ def interaction(spark: SparkSession, sf_dir: str, since: str = "2024-01-30", lab
     return PropertyGraph(users, edges)
 
 
-def interaction_skew(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+def interaction_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """The interaction graph of all events."""
+    return interaction(spark, sf_dir, since=None)
+
+
+def interaction_skew(spark: SparkSession, sf_dir: str, since: str | None = "2024-01-30") -> PropertyGraph:
     """The same graph with most edges under one label."""
-    return interaction(spark, sf_dir, label=F.when(F.col("value") < 61.5, "main").otherwise(F.col("event_type")))
+    return interaction(spark, sf_dir, since, label=F.when(F.col("value") < 61.5, "main").otherwise(F.col("event_type")))
+
+
+def interaction_skew_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """The skewed graph of all events."""
+    return interaction_skew(spark, sf_dir, since=None)
 
 
 def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -120,3 +142,6 @@ def similarity(spark: SparkSession, sf_dir: str, k: int = 8, block: int = 512) -
 
 
 GRAPHS = {"copurchase": copurchase, "cobrand": cobrand, "interaction": interaction, "interaction_skew": interaction_skew, "commerce": commerce, "similarity": similarity}
+#: The graphs above that hold a slice of their tables, over the whole tables.
+WHOLE = {"copurchase": copurchase_all, "cobrand": cobrand_all, "interaction": interaction_all, "interaction_skew": interaction_skew_all}
+GRAPHS |= {f"{name}_all": make for name, make in WHOLE.items()}

@@ -1,0 +1,53 @@
+"""The graph queries over whole tables, against brute force on a small set of tables."""
+
+import random
+from itertools import combinations, permutations
+
+import pytest
+from brute import matches
+
+from graphdelta import queries
+
+PRIORITIES, STATES = ["1-URGENT", "3-MEDIUM", "5-LOW"], ["F", "O", "P"]
+
+
+@pytest.fixture(scope="module")
+def tables(spark, tmp_path_factory):
+    """Events of a month and orders of every priority and state."""
+    folder, rng = str(tmp_path_factory.mktemp("tables")), random.Random(6)
+    parts = [(p, queries.TYPES[p % 6], f"Brand#{1 + p % 25}") for p in range(12)]
+    orders = [(k, PRIORITIES[k % 3], STATES[k // 3 % 3], f"1995-01-{1 + k:02d} 00:00:00") for k in range(9)]
+    lines = [(k, p) for k in range(9) for p in rng.sample(range(12), 3)]
+    events = [(i, f"2024-01-{1 + i // 2:02d} {i % 2:02d}:00:00", rng.randrange(6), rng.choice(queries.EVENTS), rng.uniform(0, 100)) for i in range(60)]
+    write = lambda rows, schema, name, *casts: spark.createDataFrame(rows, schema).selectExpr("*", *casts).write.parquet(f"{folder}/{name}.parquet")
+    write(parts, "p_partkey long, p_type string, p_brand string", "part")
+    write(orders, "o_orderkey long, o_orderpriority string, o_orderstatus string, day string", "orders", "cast(day as timestamp) o_orderdate")
+    write(lines, "l_orderkey long, l_partkey long", "lineitem")
+    write(events, "event_id long, at string, user_id long, event_type string, value double", "events", "cast(at as timestamp) ts")
+    together = {e for k in range(9) for e in combinations(sorted(p for o, p in lines if o == k), 2)}
+    acts, skew = {}, {}
+    for before, event in zip(events, events[1:], strict=False):
+        if before[2] != event[2]:
+            pair = tuple(sorted((before[2], event[2])))
+            acts.setdefault(pair, event[3])
+            skew.setdefault(pair, "main" if event[4] < 61.5 else event[3])
+    return folder, {p: t for p, t, _ in parts}, together, acts, skew
+
+
+def test_edges_of_all_rows(spark, tables):
+    folder, _, together, acts, skew = tables
+    ends = lambda name: {(r["src"], r["dst"]): r["elabel"] for r in queries.QUERIES[name](spark, folder).collect()}
+    assert set(ends("copurchase_edges_all")) == set(ends("cobrand_edges_all")) == together
+    assert ends("interaction_edges_all") == acts and ends("interaction_skew_edges_all") == skew
+    assert set(ends("copurchase_edges")) < together and len(ends("interaction_edges")) < len(acts)
+
+
+def test_matches_over_all_rows(spark, tables):
+    folder, types, together, acts, _ = tables
+    got = lambda name, n: {tuple(r[f"m{u}"] for u in range(n)) for r in queries.QUERIES[name](spark, folder).collect()}
+    assert got("match_wedge3_all", 3) == matches(queries.pattern("copurchase", "wedge3"), types, [(*e, "co") for e in together])
+    users = {u: "user" for e in acts for u in e}
+    edges = [(*e, label) for e, label in acts.items()]
+    assert got("match_wedge3_hom_all", 3) == matches(queries.pattern("interaction", "wedge3"), users, edges, "hom")
+    triangles = sum(all(tuple(sorted(e)) in acts for e in combinations(t, 2)) for t in permutations(users, 3)) // 6
+    assert queries.QUERIES["distinct_tri3_subgraphs_all"](spark, folder).first()["n_subgraphs"] == triangles
