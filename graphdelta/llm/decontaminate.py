@@ -1,11 +1,8 @@
-"""Benchmark decontamination by SimHash of item-sized windows.
+"""Benchmark decontamination by item-sized windows and an index of the items' shingles.
 
-Items become weighted sets of five-word shingles (a shingle weighs the letters of its words), and each has a 64-bit
-SimHash fingerprint.  Windows as long as an item slide over every text.  All fingerprints within ``RADIUS`` bits
-are found through ``BLOCKS`` blocks of bits: of two fingerprints within the radius, one block differs by at most
-RADIUS // BLOCKS bits, so an index that holds every block value within that many bits of an item's misses none.
-What the blocks let through is verified by the exact weighted similarity: shared weight over the item's weight, and
-over the window's, both at least ``SIMILARITY``.
+Items become weighted sets of five-word shingles (a shingle weighs the letters of its words).  Windows as long as an
+item slide over every text; a window is found when the weight it shares with the item is at least ``SIMILARITY`` of
+the item's weight and of its own.
 
 A window can only be similar if it shares a shingle with the item, so windows are cut where a text holds shingles of
 the benchmark; this drops no similar window.  The benchmark is the small side: its index is broadcast, and its
@@ -19,8 +16,6 @@ columns are ignored; a text is searched whole, whatever its length.
 from __future__ import annotations
 
 from collections import defaultdict
-from functools import lru_cache
-from itertools import combinations
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -29,7 +24,6 @@ from pyspark.sql import functions as F
 from graphdelta.llm.common import filter_texts, map_texts, table
 
 SHINGLE, SIMILARITY = 5, 0.8
-BITS, BLOCKS, RADIUS = 64, 8, 23
 #: Most text the benchmark may have, as it is held by every worker.
 MOST_BYTES = 256 << 20
 
@@ -49,28 +43,13 @@ def weight(shingle: tuple[bytes, ...]) -> int:
     return sum(map(len, shingle))
 
 
-@lru_cache(maxsize=50_000)
-def bits_of(shingle: tuple[bytes, ...]) -> np.ndarray:
-    """Signed bits of a shingle's hash."""
-    from xxhash import xxh64_intdigest
-
-    value = np.array([xxh64_intdigest(b" ".join(shingle))], dtype="<u8").view(np.uint8)
-    return np.unpackbits(value, bitorder="little").astype(np.int64) * 2 - 1
-
-
-def fingerprint(totals: np.ndarray) -> np.ndarray:
-    """Rows of 64 signed totals as rows of block values, one byte a block."""
-    return np.packbits(totals > 0, axis=-1, bitorder="little")
-
-
 class ItemIndex:
-    """Multi-index of the items' fingerprints."""
+    """The items, and which of them hold a shingle."""
 
-    def __init__(self, items: list[tuple[int, str]], similarity: float = SIMILARITY, radius: int = RADIUS):
-        self.similarity, self.radius = similarity, radius
+    def __init__(self, items: list[tuple[int, str]], similarity: float = SIMILARITY):
+        self.similarity = similarity
         self.items: list[tuple[int, int, dict[tuple[bytes, ...], int], int]] = []
         self.holders: dict[tuple[bytes, ...], list[int]] = defaultdict(list)
-        prints = []
         for item_id, text in items:
             words = words_of(text)
             own = {s: weight(s) for s in shingles(words)}
@@ -78,22 +57,8 @@ class ItemIndex:
                 for s in own:
                     self.holders[s].append(len(self.items))
                 self.items.append((item_id, len(words), own, sum(own.values())))
-                prints.append(fingerprint(sum(bits_of(s) * w for s, w in own.items())))
         self.vocabulary = {w for s in self.holders for w in s}
         self.short = sorted({n for _, n, _, _ in self.items if n < SHINGLE})
-        self.prints = np.array(prints, dtype=np.uint8).reshape(-1, BLOCKS)
-        self.blocks: list[dict[int, list[int]]] = [defaultdict(list) for _ in range(BLOCKS)]
-        near = [sum(1 << b for b in flips) for n in range(radius // BLOCKS + 1) for flips in combinations(range(BITS // BLOCKS), n)]
-        for i, row in enumerate(self.prints):
-            for b, value in enumerate(row):
-                for mask in near:
-                    self.blocks[b][int(value) ^ mask].append(i)
-        self.flipped = np.array([bin(x).count("1") for x in range(256)], dtype=np.int64)
-
-    def within(self, print_: np.ndarray) -> set[int]:
-        """Items whose fingerprint is within the radius of a window's."""
-        found = np.array(sorted(set().union(*(self.blocks[b].get(int(v), ()) for b, v in enumerate(print_)))), dtype=np.int64)
-        return set(found[self.flipped[self.prints[found] ^ print_].sum(1) <= self.radius].tolist())
 
     def search(self, text: str | None) -> list[tuple[int, int, int, float]]:
         """(item, first word, number of words, similarity): each item's best window in a text."""
@@ -121,11 +86,9 @@ class ItemIndex:
                 window = shingles(words[at : at + n])
                 if len(window[0]) < SHINGLE and n >= SHINGLE:
                     continue
-                print_ = fingerprint(sum(bits_of(s) * weight(s) for s in set(window)))
-                if i in self.within(print_):
-                    mine = {s: weight(s) for s in window}
-                    shared = sum(w for s, w in mine.items() if s in own)
-                    best = max(best, (min(shared / total, shared / sum(mine.values())), -at))
+                mine = {s: weight(s) for s in window}
+                shared = sum(w for s, w in mine.items() if s in own)
+                best = max(best, (min(shared / total, shared / sum(mine.values())), -at))
             if best[0] >= self.similarity:
                 out.append((item_id, -best[1], n, best[0]))
         return out
