@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -47,19 +49,22 @@ def khop(arcs: DataFrame, start: DataFrame, hops: int) -> DataFrame:
     return seen
 
 
-def core_numbers(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(vid, core) by repeated h-index over neighbours, until nothing changes; rounds are cut by checkpoints."""
+def core_numbers(edges: DataFrame, most_rounds: int | None = None) -> DataFrame:
+    """(vid, core) by repeated h-index over neighbours, until nothing changes; rounds are cut by checkpoints.
+
+    Bounds only fall, so this ends; with ``most_rounds`` it raises when they have not settled by then.
+    """
     arcs = edges.select("src", "dst").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
     core = cut(degrees(edges).select("vid", F.col("degree").alias("core")))
-    for _ in range(most_rounds):
+    for _ in count() if most_rounds is None else range(most_rounds):
         near = arcs.join(core.select(F.col("vid").alias("dst"), "core"), "dst")
         ranked = near.withColumn("n", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("core"))))
         new = cut(ranked.groupBy("src").agg(F.max(F.least("n", "core")).alias("core")).select(F.col("src").alias("vid"), F.col("core").cast("long").alias("core")))
         changed = new.join(core.withColumnRenamed("core", "old"), "vid").filter("core != old").limit(1).count()
         core = new
         if not changed:
-            break
-    return core
+            return core
+    raise RuntimeError("core numbers did not settle")
 
 
 def relation_sizes(arcs: DataFrame, q: Pattern) -> list[int]:
