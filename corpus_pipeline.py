@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from graphdelta.llm import bpe, decontaminate, jaccard, quality, toxicity
 from graphdelta.llm.common import shared_dir, table
 
-#: SQL cannot express the learned stages; tests hold each stage against a brute-force version.
+#: SQL cannot express the learned stages; tests cover the operators, none runs the stages in a chain.
 ORACLE_SQL = None
 
 
