@@ -16,12 +16,15 @@ from pyspark.sql.types import StructType
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Characters of text that Python works on together; a longer text stands alone.
 BATCH_CHARS = 2_000_000
+#: Bytes of rows that travel to a Python worker at once: its memory must not grow with the texts.
+BATCH_BYTES = 4 << 20
 #: ASCII white space; everything else belongs to a word.
 WORD_GAP = "[\\x20\\x09-\\x0D]+"
 
 
 def ready(spark: SparkSession) -> None:
-    """Let Python workers import this package from the driver's source tree."""
+    """Let Python workers import this package from the driver's source tree, and bound the rows they get by bytes."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     root = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     env = spark.sparkContext.environment
     if root not in env.get("PYTHONPATH", "").split(os.pathsep):
@@ -108,7 +111,8 @@ def map_texts(docs: DataFrame, keep: tuple[str, ...], make: Callable[[list[str]]
             for texts in runs(batch.column("text").to_pylist(), most):
                 part, got = batch.slice(at, len(texts)), make(texts)
                 at += len(texts)
-                columns = [part.column(k) for k in keep] + [pa.array(got[f.name], type=to_arrow_type(f.dataType)) for f in new]
+                made = [got[f.name] if isinstance(got[f.name], pa.Array) else pa.array(got[f.name], type=to_arrow_type(f.dataType)) for f in new]
+                columns = [part.column(k) for k in keep] + made
                 yield pa.RecordBatch.from_arrays(columns, names=[*keep, *new.names])
 
     kept = docs.select(*keep)

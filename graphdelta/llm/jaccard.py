@@ -28,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.llm.common import dropped, map_texts, ready, released, saved, table
+from graphdelta.llm.common import dropped, map_texts, ready, released, runs, saved, table
 from graphdelta.llm.components import components
 
 #: A member in more documents than this is frequent.
@@ -37,8 +37,14 @@ LONG_LIST = 16
 MOST_FREQUENT = 1 << 20
 #: Bits of the filters that keep lone members and documents without candidates out of the shuffles.
 FILTER_BITS = 1 << 26
+#: Bytes of text that are hashed at once, and characters of a run of texts.
+SLICE, RUN_CHARS = 1 << 19, 400_000
 _ODD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53, 0x2545F4914F6CDD1D, 0x369DEA0F31A53F85], dtype=np.uint64)
-_WORDS: dict[bytes, int] = {}
+#: One random number for each byte at each of 64 places of a word, A-Z as a-z, and the bytes that part words.
+_PLACES = np.random.default_rng(5).integers(0, 1 << 64, size=(64, 256), dtype=np.uint64)
+_PLACES[:, 65:91] = _PLACES[:, 97:123]
+_GAPS = np.zeros(256, dtype=bool)
+_GAPS[[9, 10, 11, 12, 13, 32]] = True
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
@@ -47,32 +53,67 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    from xxhash import xxh3_64_intdigest
-
-    try:
-        return np.fromiter(map(_WORDS.__getitem__, words), dtype=np.uint64, count=len(words))
-    except KeyError:
-        if len(_WORDS) > 400_000:
-            _WORDS.clear()
-        for w in words:
-            if w not in _WORDS:
-                _WORDS[w] = xxh3_64_intdigest(w)
-        return np.fromiter(map(_WORDS.__getitem__, words), dtype=np.uint64, count=len(words))
+def word_hashes(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash and first byte of every word of a byte string; a word's bytes are summed by table, a slice at a time."""
+    inside = ~_GAPS[raw]
+    starts = np.flatnonzero(inside & ~np.concatenate([[False], inside[:-1]]))
+    out = np.zeros(len(starts), dtype=np.uint64)
+    for at in range(0, len(raw), SLICE):
+        here = np.flatnonzero(inside[at : at + SLICE]) + at
+        if not len(here):
+            continue
+        word = np.searchsorted(starts, here[0], "right") - 1
+        last = np.searchsorted(starts, here[-1], "right") - 1
+        first = np.concatenate([[0], np.searchsorted(here, starts[word + 1 : last + 1])])
+        place = here - np.repeat(starts[word : last + 1], np.diff(np.append(first, len(here))))
+        value = _PLACES[place & 63, raw[here]]
+        if place.max() > 63:
+            value = value * (2 * (place >> 6) + 1).astype(np.uint64)
+        out[word : last + 1] += np.add.reduceat(value, first)
+    return mixed(out), starts
+
+
+def shingle_hashes(words: np.ndarray, size: int) -> np.ndarray:
+    """Hash of every run of ``size`` words."""
+    h = np.full(len(words) - size + 1, np.uint64(size))
+    for k in range(size):
+        h = mixed(h + words[k : k + len(h)] * _ODD[k % len(_ODD)])
+    return h.view(np.int64)
+
+
+def sets_of(texts: list[str], n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct hashes of the word n-grams of all texts, one after the other, and the bounds of each text."""
+    parts = [t.encode() for t in texts]
+    raw = np.frombuffer(b" ".join(parts) + b" ", dtype=np.uint8)
+    begins = np.concatenate([[0], np.cumsum([len(p) + 1 for p in parts])]) if parts else np.zeros(1, dtype=np.int64)
+    with np.errstate(over="ignore"):
+        words, starts = word_hashes(raw)
+        cuts = np.searchsorted(starts, begins)
+        counts = np.diff(cuts)
+        sizes = np.maximum(counts - n + 1, (counts > 0).astype(counts.dtype))
+        bounds = np.concatenate([[0], np.cumsum(sizes)])
+        out = np.empty(bounds[-1], dtype=np.int64)
+        grams = shingle_hashes(words, n) if len(words) >= n else np.empty(0, dtype=np.int64)
+        for i in np.flatnonzero(counts).tolist():
+            a, b, mine = cuts[i], cuts[i + 1], out[bounds[i] : bounds[i + 1]]
+            mine[:] = grams[a : b - n + 1] if b - a >= n else shingle_hashes(words[a:b], b - a)
+            mine.sort()
+    fresh = np.ones(len(out), dtype=bool)
+    fresh[1:] = out[1:] != out[:-1]
+    fresh[bounds[:-1][sizes > 0]] = True
+    return out[fresh], np.concatenate([[0], np.cumsum(fresh)])[bounds]
 
 
 def members(text: str | None, n: int) -> np.ndarray:
     """Sorted distinct hashes of a text's word n-grams, as signed numbers."""
-    words = (text or "").encode().lower().split()
-    if not words:
-        return np.empty(0, dtype=np.int64)
-    w = word_hashes(words)
-    size = min(n, len(w))
-    with np.errstate(over="ignore"):
-        h = np.full(len(w) - size + 1, np.uint64(size))
-        for k in range(size):
-            h = mixed(h + w[k : k + len(h)] * _ODD[k % len(_ODD)])
-    return np.unique(h.view(np.int64))
+    return sets_of([text or ""], n)[0]
+
+
+def as_lists(values: np.ndarray, bounds: np.ndarray):
+    """An Arrow column of number lists."""
+    import pyarrow as pa
+
+    return pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(values))
 
 
 def base_length(size: int, percent: int) -> int:
@@ -95,12 +136,14 @@ def prefixes(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """doc_id, n_shingles, the digest of the set, and the longest prefix any choice can need."""
 
     def make(texts: list[str]) -> dict:
-        sets = [members(t, n) for t in texts]
+        values, bounds = sets_of(texts, n)
+        sets = [values[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
         keys = [digest(h) for h in sets]
         most = [h[: base_length(len(h), percent) + spare_length(len(h), percent)] for h in sets]
-        return {"n_shingles": [len(h) for h in sets], "k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "prefix": most}
+        prefix = as_lists(np.concatenate([values[:0], *most]), np.concatenate([[0], np.cumsum([len(h) for h in most])]))
+        return {"n_shingles": np.diff(bounds), "k1": [k[0] for k in keys], "k2": [k[1] for k in keys], "prefix": prefix}
 
-    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long, prefix array<long>")
+    return map_texts(docs, ("doc_id",), make, "n_shingles long, k1 long, k2 long, prefix array<long>", RUN_CHARS)
 
 
 def shared_members(reps: DataFrame) -> DataFrame:
@@ -190,14 +233,17 @@ def whole_sets(docs: DataFrame, ids: DataFrame, n: int) -> DataFrame:
     """(id, hs), the whole sets of the documents ``ids`` and of few others; only they are hashed and moved."""
     wanted = docs.sparkSession.sparkContext.broadcast(Bitmap(ids.select(F.col("id").alias("x"))))
 
-    def run(frames):
-        for part in frames:
-            rows = part[wanted.value.has(part["doc_id"].to_numpy(dtype=np.int64))]
-            for at in range(0, len(rows), 500):
-                some = rows.iloc[at : at + 500]
-                yield pd.DataFrame({"id": some["doc_id"], "hs": [members(t, n) for t in some["text"]]})
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            batch = batch.filter(pa.array(wanted.value.has(batch.column("doc_id").to_numpy(zero_copy_only=False))))
+            ids, at = batch.column("doc_id"), 0
+            for texts in runs(batch.column("text").to_pylist(), RUN_CHARS):
+                yield pa.RecordBatch.from_arrays([ids.slice(at, len(texts)), as_lists(*sets_of(texts, n))], names=["id", "hs"])
+                at += len(texts)
 
-    return docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text").mapInPandas(run, "id long, hs array<long>")
+    return docs.filter(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "id long, hs array<long>")
 
 
 def ordered(docs: DataFrame, ids: DataFrame, n: int, percent: int) -> DataFrame:
@@ -223,11 +269,13 @@ def ordered(docs: DataFrame, ids: DataFrame, n: int, percent: int) -> DataFrame:
 def verified(docs: DataFrame, pairs: DataFrame, n: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose whole sets reach the similarity."""
     ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
-    sets = whole_sets(docs, ids, n)
+    sets = saved(whole_sets(docs, ids, n), "sets")
     two = pairs.join(sets.select(F.col("id").alias("b"), F.col("hs").alias("hb")), "b")
     two = two.join(sets.select(F.col("id").alias("a"), F.col("hs").alias("ha")), "a")
     shared = F.size(F.array_intersect("ha", "hb"))
-    return two.filter(100 * shared >= percent * (F.size("ha") + F.size("hb") - shared)).select("a", "b")
+    links = saved(two.filter(100 * shared >= percent * (F.size("ha") + F.size("hb") - shared)).select("a", "b").distinct(), "links")
+    dropped(sets)
+    return links
 
 
 def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
@@ -284,7 +332,7 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
         close = saved(likely(pairs, reps, percent), "close")
         if not close.limit(1).count():
             continue
-        new = saved(verified(docs, close, n, percent), "links")
+        new = verified(docs, close, n, percent)
         released(spark)
         links = new if links is None else links.unionByName(new)
         comp = saved(components(links), "components")
