@@ -1,21 +1,27 @@
-"""Benchmark decontamination by item-sized windows and an index of the items' shingles.
+"""Benchmark decontamination by SimHash of item-sized windows and a multi-index of the items' fingerprints.
 
-Items become weighted sets of five-word shingles (a shingle weighs the letters of its words).  Windows as long as an
-item slide over every text; a window is found when the weight it shares with the item is at least ``SIMILARITY`` of
-the item's weight and of its own.
+Windows as long as an item slide over every text.  A window and an item have 128-bit SimHashes of their words; a
+multi-index of eight blocks of 16 bits names every item whose fingerprint lies within ``RADIUS`` bits of the
+window's: of so many differing bits some block holds an eighth at most, and each block lists the items under all values
+that near.  A named pair is verified exactly: items and windows are weighted sets of five-word shingles (a
+shingle weighs the letters of its words), and the weight they share must be at least ``SIMILARITY`` of the item's and of
+the window's.
 
-A window can only be similar if it shares a shingle with the item, so windows are cut where a text holds shingles of
-the benchmark; this drops no similar window.  The benchmark is the small side: its index is broadcast, and its
-size is checked against ``MOST_BYTES``; the documents never move.
+A window that shares no shingle with any item of its length has similarity zero, so every window that holds such a
+shingle, wherever in it, is fingerprinted and no other is; this leaves out no similar window.  What the radius may lose is
+measured by a test against all windows.  The benchmark is the small side: its index is broadcast in parts of
+``MOST_ITEMS`` items, and its size is checked against ``MOST_BYTES``; the documents never move.
 
 Defined results: null and blank texts and items match nothing; an item of fewer than five words is one shingle, its
-whole sequence; equal items are each reported; repeated documents are each reported; an empty table gives no row; extra
-columns are ignored; a text is searched whole, whatever its length.
+whole sequence; a text shorter than an item is one window; equal items are each reported; repeated documents are each
+reported, with a null doc_id too; an empty benchmark or table gives no row; extra columns are ignored; a text is searched
+whole, whatever its length.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
+from itertools import combinations
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -24,8 +30,12 @@ from pyspark.sql import functions as F
 from graphdelta.llm.common import filter_texts, map_texts, table
 
 SHINGLE, SIMILARITY = 5, 0.8
-#: Most text the benchmark may have, as it is held by every worker.
-MOST_BYTES = 256 << 20
+#: Bits of a fingerprint, of a block of it, and by how many bits a window may differ from an item it is verified with.
+BITS, BLOCK_BITS, RADIUS = 128, 16, 31
+#: Windows that are fingerprinted at once.
+STEP = 2048
+#: Most text the benchmark may have, and the items of one index, which every worker holds (22 kB an item).
+MOST_BYTES, MOST_ITEMS = 256 << 20, 4000
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -43,103 +53,148 @@ def weight(shingle: tuple[bytes, ...]) -> int:
     return sum(map(len, shingle))
 
 
+def word_signs(words: list[bytes]) -> np.ndarray:
+    """One row of ``BITS`` signs a word."""
+    from xxhash import xxh3_128_digest
+
+    raw = np.frombuffer(b"".join(map(xxh3_128_digest, words)), dtype=np.uint8).reshape(len(words), BITS // 8)
+    return np.unpackbits(raw, axis=1).astype(np.int32) * 2 - 1
+
+
+def fingerprints(words: list[bytes], starts: np.ndarray, n: int) -> np.ndarray:
+    """SimHash blocks of the windows of n words at ``starts``, ascending."""
+    low = int(starts[0])
+    sums = np.zeros((int(starts[-1]) + n - low + 1, BITS), dtype=np.int32)
+    np.cumsum(word_signs(words[low : int(starts[-1]) + n]), axis=0, out=sums[1:])
+    at = starts - low
+    return np.packbits(sums[at + n] > sums[at], axis=1).view(np.uint16)
+
+
+class MultiIndex:
+    """Which fingerprints lie within ``radius`` bits of another one."""
+
+    def __init__(self, prints: np.ndarray, radius: int = RADIUS):
+        self.prints, self.radius = prints, radius
+        blocks = prints.shape[1]
+        near = [sum(1 << b for b in bits) for k in range(radius // blocks + 1) for bits in combinations(range(BLOCK_BITS), k)]
+        self.tables = []
+        for b in range(blocks):
+            keys = (prints[:, b, None] ^ np.array(near, dtype=np.uint16)).ravel()
+            order = np.argsort(keys, kind="stable")
+            self.tables.append(((order // len(near)).astype(np.int32), np.searchsorted(keys[order], np.arange((1 << BLOCK_BITS) + 1)).astype(np.int64)))
+
+    def within(self, prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(row of ``prints``, place of an indexed one) of every pair within the radius."""
+        rows, places = [], []
+        for b, (holders, bounds) in enumerate(self.tables):
+            low = bounds[prints[:, b]]
+            count = bounds[prints[:, b].astype(np.int64) + 1] - low
+            row = np.repeat(np.arange(len(prints)), count)
+            inside = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
+            rows.append(row)
+            places.append(holders[np.repeat(low, count) + inside])
+        pairs = np.unique(np.concatenate(rows) * np.int64(len(self.prints)) + np.concatenate(places))
+        row, place = pairs // len(self.prints), pairs % len(self.prints)
+        near = np.bitwise_count(prints[row] ^ self.prints[place]).sum(axis=1) <= self.radius
+        return row[near], place[near]
+
+
 class ItemIndex:
-    """The items, and which of them hold a shingle."""
+    """The items, the lengths at which a shingle stands in one, and a multi-index for each length."""
 
-    def __init__(self, items: list[tuple[int, str]], similarity: float = SIMILARITY):
+    def __init__(self, items: list[tuple[int, str]], similarity: float = SIMILARITY, radius: int = RADIUS):
         self.similarity = similarity
-        self.items: list[tuple[int, int, dict[tuple[bytes, ...], int], int]] = []
-        self.holders: dict[tuple[bytes, ...], list[int]] = defaultdict(list)
+        self.items: list[tuple[int, dict[tuple[bytes, ...], int], int]] = []
+        lengths: dict[tuple[bytes, ...], set[int]] = defaultdict(set)
+        sized: dict[int, list[int]] = defaultdict(list)
+        prints = []
         for item_id, text in items:
             words = words_of(text)
             own = {s: weight(s) for s in shingles(words)}
             if own:
                 for s in own:
-                    self.holders[s].append(len(self.items))
-                self.items.append((item_id, len(words), own, sum(own.values())))
-        self.vocabulary = {w for s in self.holders for w in s}
-        self.short = sorted({n for _, n, _, _ in self.items if n < SHINGLE})
-
-    def search(self, text: str | None) -> list[tuple[int, int, int, float]]:
-        """(item, first word, number of words, similarity): each item's best window in a text."""
-        words = words_of(text)
-        if not words or not self.items:
-            return []
-        hits: dict[int, list[int]] = defaultdict(list)  # item: places of its shingles
-        get = self.holders.get
+                    lengths[s].add(len(words))
+                sized[len(words)].append(len(self.items))
+                self.items.append((item_id, own, sum(own.values())))
+                prints.append(fingerprints(words, np.zeros(1, dtype=np.int64), len(words))[0])
+        self.lengths = {s: tuple(sorted(n)) for s, n in lengths.items()}
+        self.vocabulary = {w for s in self.lengths for w in s}
+        self.short = sorted(n for n in sized if n < SHINGLE)
+        self.sized = {n: (np.array(own), MultiIndex(np.array([prints[i] for i in own]), radius)) for n, own in sized.items()}
+
+    def places(self, words: list[bytes]) -> dict[int, list[int]]:
+        """Where a text holds shingles of items, by the items' length."""
+        hits: dict[int, list[int]] = defaultdict(list)
+        get = self.lengths.get
         if len(words) >= SHINGLE:
             known = np.fromiter(map(self.vocabulary.__contains__, words), dtype=bool, count=len(words))
             runs = np.convolve(known, np.ones(SHINGLE, dtype=np.int64), "valid") == SHINGLE
             for at in np.flatnonzero(runs).tolist():  # only five benchmark words in a row can be a shingle
-                for i in get(tuple(words[at : at + SHINGLE]), ()):
-                    hits[i].append(at)
+                for n in get(tuple(words[at : at + SHINGLE]), ()):
+                    hits[n].append(at)
         for n in self.short:
             for at in range(len(words) - n + 1):
-                for i in get(tuple(words[at : at + n]), ()):
-                    hits[i].append(at)
-        out = []
-        for i, places in hits.items():
-            item_id, n, own, total = self.items[i]
-            starts = self.starts(places, len(words), n, own, total, words)
-            best = (0.0, 0)
-            for at, share in starts:
-                window = shingles(words[at : at + n])
-                if len(window[0]) < SHINGLE and n >= SHINGLE:
-                    continue
-                mine = {s: weight(s) for s in window}
-                shared = sum(w for s, w in mine.items() if s in own)
-                best = max(best, (min(shared / total, shared / sum(mine.values())), -at))
-            if best[0] >= self.similarity:
-                out.append((item_id, -best[1], n, best[0]))
-        return out
-
-    def starts(self, places, length, n, own, total, words) -> list[tuple[int, float]]:
-        """Starts of item-sized windows around an item's shingles, those that can reach the similarity only."""
-        reach = max(1, n - SHINGLE + 1)  # shingles in a window
-        weights = [own.get(tuple(words[p : p + min(n, SHINGLE)]), 0) for p in places]
-        out, low, high, held = [], 0, 0, 0
-        for at in sorted({max(0, min(p - k, length - n)) for p in places for k in self.offsets(p, places, reach)}):
-            while high < len(places) and places[high] < at + reach:
-                held += weights[high]
-                high += 1
-            while low < len(places) and places[low] < at:
-                held -= weights[low]
-                low += 1
-            if held >= self.similarity * total:
-                out.append((at, held / total))
-        return out
-
-    @staticmethod
-    def offsets(place: int, places: list[int], reach: int) -> tuple[int, ...]:
-        """Windows that begin or end at a hit: every best window can be moved to one of these."""
-        return (0, reach - 1)
-
-
-def build(items: DataFrame, similarity: float = SIMILARITY) -> ItemIndex:
-    """Index of a benchmark table (item_id, text) whose size is checked first."""
+                if n in get(tuple(words[at : at + n]), ()):
+                    hits[n].append(at)
+        return hits
+
+    def search(self, text: str | None) -> list[tuple[int, int, int, float]]:
+        """(item, first word, number of words, similarity): each item's best window in a text, the first of equals."""
+        words = words_of(text)
+        best: dict[int, tuple[float, int, int]] = {}
+        for n, places in (self.places(words) if words and self.items else {}).items():
+            size, last = min(n, len(words)), max(0, len(words) - n)
+            held = np.zeros(last + 2, dtype=np.int64)  # starts of the windows that hold a place, as steps up and down
+            at = np.array(places)
+            np.add.at(held, np.minimum(np.maximum(0, at - size + min(n, SHINGLE)), last), 1)
+            np.add.at(held, np.minimum(at, last) + 1, -1)
+            starts = np.flatnonzero(np.cumsum(held)[:-1] > 0)
+            own, index = self.sized[n]
+            for k in range(0, len(starts), STEP):
+                some = starts[k : k + STEP]
+                gaps = np.flatnonzero(np.diff(some) > 4 * n) + 1
+                for part in np.split(some, gaps):
+                    rows, found = index.within(fingerprints(words, part, size))
+                    for first, i in zip(part[rows].tolist(), own[found].tolist(), strict=True):
+                        similar = self.similar(words[first : first + size], i)
+                        if similar >= self.similarity and (similar, -first) > best.get(i, (0.0, 0, 0))[:2]:
+                            best[i] = (similar, -first, size)
+        return [(self.items[i][0], -first, size, similar) for i, (similar, first, size) in sorted(best.items())]
+
+    def similar(self, window: list[bytes], i: int) -> float:
+        """Shared shingle weight over the heavier of window and item."""
+        _, own, total = self.items[i]
+        mine = set(shingles(window))
+        shared = sum(own[s] for s in mine & own.keys())
+        return shared / max(total, sum(map(weight, mine)))
+
+
+def build(items: DataFrame, similarity: float = SIMILARITY) -> list[ItemIndex]:
+    """Indexes over the parts of a benchmark table (item_id, text) whose size is checked first."""
     size = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     if size > MOST_BYTES:
         raise ValueError(f"the benchmark has {size} bytes of text; split it into parts of at most {MOST_BYTES}")
-    return ItemIndex([(r["item_id"], r["text"] or "") for r in items.select("item_id", "text").orderBy("item_id").collect()], similarity)
+    rows = [(r["item_id"], r["text"] or "") for r in items.select("item_id", "text").orderBy("item_id").collect()]
+    return [ItemIndex(rows[at : at + MOST_ITEMS], similarity) for at in range(0, len(rows), MOST_ITEMS)]
 
 
-def find(docs: DataFrame, index: ItemIndex) -> DataFrame:
+def find(docs: DataFrame, indexes: list[ItemIndex]) -> DataFrame:
     """doc_id, item_id, first_word, n_words, similarity: one row per document and benchmark item found in it."""
-    shared = docs.sparkSession.sparkContext.broadcast(index)
+    shared = docs.sparkSession.sparkContext.broadcast(indexes)
     hit = "array<struct<item_id:long,first_word:long,n_words:long,similarity:double>>"
 
     def make(texts: list[str]) -> dict:
         names = ("item_id", "first_word", "n_words", "similarity")
-        return {"hits": [[dict(zip(names, h, strict=True)) for h in shared.value.search(t)] for t in texts]}
+        return {"hits": [[dict(zip(names, h, strict=True)) for index in shared.value for h in index.search(t)] for t in texts]}
 
     found = map_texts(docs, ("doc_id",), make, f"hits {hit}")
     return found.select("doc_id", F.explode("hits").alias("h")).select("doc_id", "h.*")
 
 
-def clean(docs: DataFrame, index: ItemIndex) -> DataFrame:
+def clean(docs: DataFrame, indexes: list[ItemIndex]) -> DataFrame:
     """The rows of ``docs``, all columns, in whose text no item is found."""
-    shared = docs.sparkSession.sparkContext.broadcast(index)
-    return filter_texts(docs, lambda texts: [not shared.value.search(t) for t in texts])
+    shared = docs.sparkSession.sparkContext.broadcast(indexes)
+    return filter_texts(docs, lambda texts: [not any(index.search(t) for index in shared.value) for t in texts])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

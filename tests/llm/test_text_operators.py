@@ -96,12 +96,14 @@ def test_decontamination_finds_planted_and_leaves_clean(spark, docs):
     changed = items[3].split()
     changed[20] = "other"
     texts = [noise(50) + " " + items[1].upper() + " " + noise(9), noise(400), items[2], noise(5) + " " + " ".join(changed), items[0], None, "", " ".join(items[4].split()[:20]) + noise(30)]
-    index = decontaminate.ItemIndex([(i, t) for i, t in enumerate([*items, "", items[1]])])
+    index = [decontaminate.ItemIndex(part) for part in ([(i, t) for i, t in enumerate(items)], [(5, ""), (6, items[1])])]
     got = sorted((r["doc_id"], r["item_id"]) for r in decontaminate.find(docs(texts), index).collect())
     assert got == [(0, 1), (0, 6), (2, 2), (3, 3), (4, 0)]
     left = decontaminate.clean(docs(texts), index)
     assert sorted(r["doc_id"] for r in left.collect()) == [1, 5, 6, 7] and left.columns == ["doc_id", "text", "score"]
     assert decontaminate.find(docs([]), index).count() == 0
+    none = docs(texts).selectExpr("doc_id item_id", "text").limit(0)
+    assert decontaminate.build(none) == [] and decontaminate.find(docs(texts), []).count() == 0
 
 
 def plain_components(texts, n, percent):
