@@ -21,7 +21,7 @@ BUCKETS = 4096
 SIZES = (3, 4, 5)
 EPOCHS, RATE, DECAY = 80, 12.0, 0.002
 #: Probability from which the method blocks a URL that no rule fits.
-BLOCK_AT = 0.4
+BLOCK_AT = 0.5
 #: Most rows that the labelled table may have: its kernel is their square.
 MOST_LABELLED = 500
 #: (verdict, host, path) of the query.
@@ -33,25 +33,30 @@ RULES = (
     ("block", "net", "/fr/"),
 )
 
-#: Labelled hosts of the default table, each under paths of its class and under neutral ones; 1 is to be blocked.
-_BLOCKED_HOSTS = ("spam-farm", "cheap-pills", "casino-win", "free-money", "adult-x", "adult-cams", "ads-track", "click-ads", "link-farm", "bet-bonus", "warez-crack")
-_BLOCKED_PATHS = ("/buy-now/", "/xxx/", "/win/cash")
+#: The default training table: words of hosts that block lists commonly name, joined to hosts of two words, and ordinary
+#: hosts of one and of two words.  It was written without a look at any table; callers give their own as ``labelled``.
+_BLOCKED_WORDS = ("spam", "casino", "pills", "adult", "ads", "cheap", "poker", "track", "farm", "bets", "porn", "loans", "warez", "free", "viagra", "clicks")
 _ALLOWED_HOSTS = (
-    "blog.library", "www.school", "m.museum", "news.city", "docs.project", "theon", "thther", "www.river", "m.garden", "blog.theand", "history",
-    "tionble", "blog.tionsh", "m.ththes", "www.thering", "therti", "m.tionand", "shop.books", "weather", "www.science", "blog.ththnt", "tionre",
+    "library", "school", "museum", "mother", "garden", "history", "station", "nation", "weather", "theatre", "science", "theory", "thinking", "bother",
+    "recipes", "kitchen", "another", "therapist", "nothing", "travel", "forest", "others", "thread", "motion",
+    "book-club", "city-news", "art-gallery", "open-source", "high-school", "town-hall", "health-care", "river-side", "long-read", "old-maps",
 )
+_BLOCKED_PATHS = ("/buy-now/", "/xxx/", "/win/cash")
 _ALLOWED_PATHS = ("/articles/2021", "/about.html", "/wiki/page")
 _NEUTRAL_PATHS = ("/en/12", "/de/345/", "/fr/67.html", "/es/890")
 
 
 def labelled_urls() -> list[tuple[str, int]]:
-    """The default training table: two URLs under the class's own paths and two under neutral ones for each host."""
+    """The rows of the default table: each host under two paths of its class and under two neutral ones."""
+    n = len(_BLOCKED_WORDS)
+    blocked = [f"{_BLOCKED_WORDS[i]}-{_BLOCKED_WORDS[(i + step) % n]}" for step in (2, 5) for i in range(n)]
     rows = []
-    for hosts, paths, label in ((_BLOCKED_HOSTS, _BLOCKED_PATHS, 1), (_ALLOWED_HOSTS, _ALLOWED_PATHS, 0)):
+    for hosts, paths, label in ((blocked, _BLOCKED_PATHS, 1), (_ALLOWED_HOSTS, _ALLOWED_PATHS, 0)):
         for i, host in enumerate(hosts):
             for j in range(4):
                 path = _NEUTRAL_PATHS[(i + j) % 4] if j % 2 else paths[(i + j) % 3]
-                rows.append((f"https://{'m.' * (label and j == 3)}{host}.example.{('org', 'net', 'com')[(i + j) % 3]}{path}", label))
+                before = ("", "www.", "m.", "blog.")[(i + j) % 4]
+                rows.append((f"https://{before}{host}.example.{('org', 'net', 'com')[(i + j) % 3]}{path}", label))
     return rows
 
 
