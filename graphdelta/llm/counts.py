@@ -35,6 +35,10 @@ REMEMBERED = 600_000
 NEVER = 1 << 40
 
 
+#: Lower case as the library has it where ``str.lower`` differs: sigma letter by letter, and two letters newer than Python's tables.
+NEWER = (("\u03a3", "\u03c3"), ("\ua7cb", "\u0264"), ("\ua7dc", "\u019b"))
+
+
 class PrefixCounter:
     """Prefix tables of one vocabulary file."""
 
@@ -181,7 +185,9 @@ class PrefixCounter:
         if text.isascii():
             return text.lower()
         text = unicodedata.normalize("NFC", text)
-        return text.replace("Σ", "σ").lower()  # letter by letter: no final sigma
+        for capital, small in NEWER:
+            text = text.replace(capital, small)
+        return text.lower()
 
     def parts(self, text: str) -> list[str | None]:
         """Stretches of ordinary text, with None for each special string."""

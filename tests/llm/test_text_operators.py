@@ -8,7 +8,7 @@ import pytest
 
 from graphdelta.llm import bpe, chat, counts, decontaminate, jaccard, quality, toxicity, urls
 
-EDGE_TEXTS = [None, "", "   \n", "a", "<|endoftext|> x <|endoftext|>", "É é Σ ς İ ǅ 日本 👍🏽", "don't WE'LL ''''s", "word " * 3000, "aaaa" * 50, "x\x00y \x1c\x1d z w"]
+EDGE_TEXTS = [None, "", "   \n", "a", "<|endoftext|> x <|endoftext|>", "É é Σ ς İ ǅ 日本 👍🏽", "don't WE'LL ''''s", "word " * 3000, "aaaa" * 50, "\ua7cb \ua7dcx", "x\x00y \x1c\x1d z w"]
 
 
 def tokenizer(name):
