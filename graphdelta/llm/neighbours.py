@@ -33,6 +33,8 @@ NEIGHBOURS, BACKWARD = 8, 8
 TABLES, CELL, MOST_ROUNDS = 3, 96, 6
 #: Vectors of the audit, the recall it asks for, and rows compared at once.
 AUDITED, RECALL, BLOCK = 200, 0.98, 512
+#: Vectors of a component that meet as many others in one task.
+SHIPPED = 4096
 STILL = 0.02
 #: Numbers in the vectors that travel to the tasks at once, and what single precision may be off by.
 TRAVEL, SLACK = 1 << 20, 1e-4
@@ -47,6 +49,21 @@ def unit(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
+def reach(x: np.ndarray, y: np.ndarray, threshold: float) -> np.ndarray:
+    """Which rows of x and y reach the threshold: by matrix product, pairs too near to tell by ``cosines``."""
+    s = x @ y.T
+    near = s >= threshold
+    i, j = np.nonzero(np.abs(s - threshold) < 1e-12 * (1 + x.shape[1]))
+    if len(i):
+        near[i, j] = cosines(x[i], y[j]) >= threshold
+    return near
+
+
+def cosines(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Cosine of each row of x with the same row of y, both of length one; the same in either order."""
+    return np.einsum("ij,ij->i", x, y)
+
+
 def can_link():
     """Whether a row (id, v) can link; never null."""
     v = F.col("v")
@@ -163,8 +180,7 @@ def exact(reps: DataFrame, lists: DataFrame, threshold: float) -> DataFrame:
     def work(frames):
         for part in frames:
             if len(part):
-                cos = np.einsum("ij,ij->i", unit(matrix(part["va"])), unit(matrix(part["vb"])))
-                yield part.loc[cos >= threshold, ["a", "b"]]
+                yield part.loc[cosines(unit(matrix(part["va"])), unit(matrix(part["vb"]))) >= threshold, ["a", "b"]]
 
     return two.mapInPandas(work, "a long, b long")
 
@@ -198,7 +214,7 @@ def widened(reps: DataFrame, size: int, some: DataFrame, comp: DataFrame, thresh
                 for at in range(0, len(y), BLOCK):
                     here = slice(at, at + BLOCK)
                     i, j = np.nonzero((y[here].astype(np.float32) @ flat >= threshold - SLACK) & (theirs[here][:, None] != own))
-                    sure = np.einsum("ij,ij->i", y[at + i], x[j]) >= threshold
+                    sure = cosines(y[at + i], x[j]) >= threshold
                     yield pd.DataFrame({"a": theirs[at + i[sure]], "b": own[j[sure]]}).drop_duplicates()
 
         pairs.append(saved(placed.select("v", "component").mapInPandas(work, "a long, b long").distinct(), "pairs"))
@@ -213,20 +229,28 @@ def widened(reps: DataFrame, size: int, some: DataFrame, comp: DataFrame, thresh
 
 
 def link_counts(reps: DataFrame, comp: DataFrame, threshold: float) -> DataFrame:
-    """(id, n): other vectors linked directly, from block pairs within each component."""
-    sizes = comp.groupBy("component").count().withColumn("blocks", F.ceil(F.col("count") / BLOCK).cast("int"))
+    """(id, n): other vectors linked directly, from block pairs within each component.
+
+    A vector travels once for every ``SHIPPED`` members of its component; a task compares ``BLOCK`` rows at a time.
+    """
+    sizes = comp.groupBy("component").count().withColumn("blocks", F.ceil(F.col("count") / SHIPPED).cast("int"))
     placed = reps.join(comp, "id").join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
     spread = placed.select("component", "id", "v", "m", "block", other).select("component", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "v", "m")
 
     def work(key, part):
-        x, block, m = unit(matrix(part["v"])), part["block"].to_numpy(), part["m"].to_numpy()
+        x, block, m, ids = unit(matrix(part["v"])), part["block"].to_numpy(), part["m"].to_numpy(), part["id"].to_numpy()
         left, right = np.flatnonzero(block == key[1]), np.flatnonzero(block == key[2])
-        near = x[left] @ x[right].T >= threshold
-        if key[1] == key[2]:
-            np.fill_diagonal(near, False)
-            return pd.DataFrame({"id": part["id"].to_numpy()[left], "n": near @ m[right]})
-        return pd.DataFrame({"id": np.concatenate([part["id"].to_numpy()[left], part["id"].to_numpy()[right]]), "n": np.concatenate([near @ m[right], m[left] @ near])})
+        n, alone = np.zeros(len(ids), dtype=np.int64), key[1] == key[2]
+        for at in range(0, len(left), BLOCK):
+            mine = left[at : at + BLOCK]
+            near = reach(x[mine], x[right], threshold)
+            if alone:
+                near &= mine[:, None] != right
+            else:
+                n[right] += m[mine] @ near
+            n[mine] += near @ m[right]
+        return pd.DataFrame({"id": ids, "n": n})
 
     return spread.groupBy("component", "i", "j").applyInPandas(work, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
 
