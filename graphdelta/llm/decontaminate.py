@@ -21,6 +21,7 @@ whole, whatever its length.
 from __future__ import annotations
 
 from collections import defaultdict
+from functools import cached_property
 from itertools import combinations
 
 import numpy as np
@@ -71,23 +72,31 @@ def fingerprints(words: list[bytes], starts: np.ndarray, n: int) -> np.ndarray:
 
 
 class MultiIndex:
-    """Which fingerprints lie within ``radius`` bits of another one."""
+    """Which fingerprints lie within ``radius`` bits of another one; only the fingerprints travel, the tables are made again."""
 
     def __init__(self, prints: np.ndarray, radius: int = RADIUS):
         self.prints, self.radius = prints, radius
-        blocks = prints.shape[1]
-        near = [sum(1 << b for b in bits) for k in range(radius // blocks + 1) for bits in combinations(range(BLOCK_BITS), k)]
-        self.tables = []
+
+    def __getstate__(self):
+        return {"prints": self.prints, "radius": self.radius}
+
+    @cached_property
+    def tables(self) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Of each block: the fingerprints that have a value near each value, in the order of the values, and their bounds."""
+        blocks = self.prints.shape[1]
+        near = [sum(1 << b for b in bits) for k in range(self.radius // blocks + 1) for bits in combinations(range(BLOCK_BITS), k)]
+        out = []
         for b in range(blocks):
-            keys = (prints[:, b, None] ^ np.array(near, dtype=np.uint16)).ravel()
+            keys = (self.prints[:, b, None] ^ np.array(near, dtype=np.uint16)).ravel()
             order = np.argsort(keys, kind="stable")
-            self.tables.append(((order // len(near)).astype(np.int32), np.searchsorted(keys[order], np.arange((1 << BLOCK_BITS) + 1)).astype(np.int64)))
+            out.append(((order // len(near)).astype(np.int32), np.searchsorted(keys[order], np.arange((1 << BLOCK_BITS) + 1)).astype(np.int32)))
+        return out
 
     def within(self, prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row of ``prints``, place of an indexed one) of every pair within the radius."""
         rows, places = [], []
         for b, (holders, bounds) in enumerate(self.tables):
-            low = bounds[prints[:, b]]
+            low = bounds[prints[:, b]].astype(np.int64)
             count = bounds[prints[:, b].astype(np.int64) + 1] - low
             row = np.repeat(np.arange(len(prints)), count)
             inside = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
@@ -100,27 +109,27 @@ class MultiIndex:
 
 
 class ItemIndex:
-    """The items, the lengths at which a shingle stands in one, and a multi-index for each length."""
+    """The items, the lengths at which a shingle stands in one, and a multi-index of the items."""
 
     def __init__(self, items: list[tuple[int, str]], similarity: float = SIMILARITY, radius: int = RADIUS):
         self.similarity = similarity
         self.items: list[tuple[int, dict[tuple[bytes, ...], int], int]] = []
         lengths: dict[tuple[bytes, ...], set[int]] = defaultdict(set)
-        sized: dict[int, list[int]] = defaultdict(list)
-        prints = []
+        sizes, prints = [], []
         for item_id, text in items:
             words = words_of(text)
             own = {s: weight(s) for s in shingles(words)}
             if own:
                 for s in own:
                     lengths[s].add(len(words))
-                sized[len(words)].append(len(self.items))
+                sizes.append(len(words))
                 self.items.append((item_id, own, sum(own.values())))
                 prints.append(fingerprints(words, np.zeros(1, dtype=np.int64), len(words))[0])
         self.lengths = {s: tuple(sorted(n)) for s, n in lengths.items()}
         self.vocabulary = {w for s in self.lengths for w in s}
-        self.short = sorted(n for n in sized if n < SHINGLE)
-        self.sized = {n: (np.array(own), MultiIndex(np.array([prints[i] for i in own]), radius)) for n, own in sized.items()}
+        self.sizes = np.array(sizes, dtype=np.int64)
+        self.short = sorted({n for n in sizes if n < SHINGLE})
+        self.index = MultiIndex(np.array(prints, dtype=np.uint16).reshape(len(prints), BITS // BLOCK_BITS), radius)
 
     def places(self, words: list[bytes]) -> dict[int, list[int]]:
         """Where a text holds shingles of items, by the items' length."""
@@ -149,13 +158,13 @@ class ItemIndex:
             np.add.at(held, np.minimum(np.maximum(0, at - size + min(n, SHINGLE)), last), 1)
             np.add.at(held, np.minimum(at, last) + 1, -1)
             starts = np.flatnonzero(np.cumsum(held)[:-1] > 0)
-            own, index = self.sized[n]
             for k in range(0, len(starts), STEP):
                 some = starts[k : k + STEP]
                 gaps = np.flatnonzero(np.diff(some) > 4 * n) + 1
                 for part in np.split(some, gaps):
-                    rows, found = index.within(fingerprints(words, part, size))
-                    for first, i in zip(part[rows].tolist(), own[found].tolist(), strict=True):
+                    rows, found = self.index.within(fingerprints(words, part, size))
+                    fits = self.sizes[found] == n
+                    for first, i in zip(part[rows[fits]].tolist(), found[fits].tolist(), strict=True):
                         similar = self.similar(words[first : first + size], i)
                         if similar >= self.similarity and (similar, -first) > best.get(i, (0.0, 0, 0))[:2]:
                             best[i] = (similar, -first, size)
