@@ -30,7 +30,7 @@ from graphdelta.llm.components import components
 
 THRESHOLD = 0.95
 NEIGHBOURS, BACKWARD = 8, 8
-TABLES, CELL, MOST_ROUNDS = 3, 96, 6
+TABLES, CELL, MOST_ROUNDS = 8, 96, 6
 #: Vectors of the audit, the recall it asks for, and rows compared at once.
 AUDITED, RECALL, BLOCK = 200, 0.98, 512
 #: Vectors of a component that meet as many others in one task.
