@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from graphdelta.pattern.model import Pattern
 from graphdelta.plans.orders import check_connected
-from graphdelta.plans.relations import directed
+from graphdelta.sources.storage import cut
 
 
 def col(u: int) -> str:
@@ -84,6 +84,44 @@ def enumerate_from(seed: DataFrame, rels, q: Pattern, order: list[int], semantic
     return finish(out, q, keys)
 
 
+def enumerate_terms(seeds: dict[int, DataFrame], rels, orders: dict[int, list[int]], q: Pattern, semantics: str = "iso", strategy: str = "first", keep=None, seen=None) -> DataFrame:
+    """All matches of several telescoped terms, which grow together by one vertex a round.
+
+    ``seeds`` are partial matches over the first vertices of ``orders``; ``rels[k]`` the relations of term k.  Every
+    round's partial matches are written as one table: the next round knows how small they are and scans the
+    relations against them instead of shuffling both.  ``keep(k, rows, x)`` may drop rows by the new vertex x;
+    ``seen(depth, k, rows, grown)`` gets what a round started from and what it found.
+    """
+    grow = expand_least if strategy == "least" else expand
+    for order in orders.values():
+        check_connected(q, order)
+    named = lambda df, k, i: df.select(F.lit(k).alias("k"), *[F.col(col(u)).alias(f"p{j}") for j, u in enumerate(orders[k][:i])])
+    rows = dict(seeds)
+    start = {k: len(df.columns) for k, df in seeds.items()}
+    for i in range(min(start.values(), default=q.n), q.n):
+        parts = []
+        for k, order in orders.items():
+            if start[k] > i:
+                parts.append(named(rows[k], k, i + 1))
+                continue
+            x, bound = order[i], order[:i]
+            grown = injective(grow(rows[k], rels[k], q, x, bound), x, bound, semantics)
+            if seen is not None:
+                seen(i, k, rows[k], grown)
+            parts.append(named(grown, k, i + 1))
+        last = i == q.n - 1
+        table = reduce(DataFrame.unionByName, parts)
+        if not last or keep is not None:
+            table = cut(table, "partials")
+        rows = {}
+        for k, order in orders.items():
+            mine = table.filter(F.col("k") == k).select(*[F.col(f"p{j}").alias(col(u)) for j, u in enumerate(order[: i + 1])])
+            rows[k] = mine if keep is None or start[k] > i else keep(k, mine, order[i])
+        if last and keep is None:
+            return reduce(DataFrame.unionByName, [finish(p.select(*[F.col(f"p{j}").alias(col(u)) for j, u in enumerate(o)]), q) for p, o in zip(parts, orders.values(), strict=True)])
+    return reduce(DataFrame.unionByName, [finish(df, q) for df in rows.values()])
+
+
 def first_vertex(rels, q: Pattern, u: int) -> DataFrame:
     """Values of a vertex that all its relations share."""
     ends = [towards(rels, q, q.edge_between(u, w), u, w).select(col(u)) for w in q.neighbours(u)]
@@ -115,7 +153,3 @@ def edge_join(rels, q: Pattern, edge_order: list[int], semantics: str = "iso") -
                 out = injective(out, v, bound, semantics) if bound else out
                 bound.append(v)
     return finish(out, q)
-
-
-def expand_undirected(rel: DataFrame) -> DataFrame:
-    return rel.unionByName(directed(rel, False))

@@ -38,37 +38,51 @@ def directed(rel: DataFrame, forward: bool) -> DataFrame:
 
 @dataclass
 class Change:
-    """A batch of one sign: one table of arcs in which ``new`` marks those of the batch, inserted or deleted."""
+    """A batch of one sign: the arcs without an inserted batch, or with a deleted one, and the batch's own arcs.
 
-    arcs: DataFrame
+    Both are written tables, so a term scans them with its labels pushed down; the batch's table is small and known to be.
+    """
+
+    base: DataFrame
+    delta: DataFrame
     sign: int
     size: int | None = None
 
     @property
     def full(self) -> DataFrame:
         """Arcs with the batch."""
-        return self.arcs.drop("new")
-
-    @property
-    def delta(self) -> DataFrame:
-        """The batch alone."""
-        return self.arcs.filter("new").drop("new")
+        return self.base.unionByName(self.delta) if self.sign > 0 else self.base
 
     @property
     def rest(self) -> DataFrame:
         """Arcs without the batch."""
-        return self.arcs.filter("not new").drop("new")
+        return self.base if self.sign > 0 else self.base.join(self.seed(self.delta.select("src", "dst")), ["src", "dst"], "left_anti").select(*self.base.columns)
+
+    @property
+    def after(self) -> DataFrame:
+        """Arcs once the batch has happened."""
+        return self.full if self.sign > 0 else self.rest
+
+    @property
+    def arcs(self) -> DataFrame:
+        """All arcs, with ``new`` for those of the batch; a filter on it leaves one side of the union."""
+        return self.rest.withColumn("new", F.lit(False)).unionByName(self.delta.withColumn("new", F.lit(True)))
+
+    def count(self) -> int:
+        """Arcs of the batch, two for each edge."""
+        if self.size is None:
+            self.size = self.delta.count()
+        return self.size
 
     def seed(self, df: DataFrame) -> DataFrame:
         """Broadcast what comes from the batch while the batch is small."""
-        if self.size is None:
-            self.size = self.arcs.filter("new").count()
-        return F.broadcast(df) if self.size <= MOST_BROADCAST else df
+        return F.broadcast(df) if self.count() <= MOST_BROADCAST else df
 
 
-def flagged(change: Change, q: Pattern, prune=None) -> dict[int, DataFrame]:
-    """Every query relation once, with the batch's rows marked, after an index has pruned it."""
-    return {e: relation(change.arcs, q, e) if prune is None else prune(e, relation(change.arcs, q, e)) for e in range(q.m)}
+def flagged(change: Change, q: Pattern) -> dict[int, DataFrame]:
+    """Every query relation once, with the batch's rows marked."""
+    arcs = change.arcs
+    return {e: relation(arcs, q, e) for e in range(q.m)}
 
 
 def term(rels: dict[int, DataFrame], k: int) -> dict[int, DataFrame]:

@@ -6,10 +6,9 @@ terms.
 
 from __future__ import annotations
 
-from contextvars import ContextVar
-from functools import reduce, wraps
+from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphdelta.index.candidates import label_candidates
@@ -21,7 +20,7 @@ from graphdelta.pattern.model import Pattern, parse
 from graphdelta.plans import orders
 from graphdelta.plans.relations import relations
 from graphdelta.sources import builders, stats, updates
-from graphdelta.sources.graph import PropertyGraph, split_hash, split_stream
+from graphdelta.sources.graph import PropertyGraph, numbered, split_hash, split_stream
 from graphdelta.sources.storage import cut
 
 TYPES = ["ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD"]
@@ -62,48 +61,26 @@ def named(graph: str, name: str) -> Pattern:
     return COMMERCE[name] if graph == "commerce" else pattern(graph, name)
 
 
-#: Whether a query that runs now takes the graphs of whole tables instead of their slices.
-_WHOLE: ContextVar[bool] = ContextVar("whole", default=False)
-
-
-def made(spark, d: str, graph: str) -> PropertyGraph:
-    return (builders.WHOLE if _WHOLE.get() and graph in builders.WHOLE else builders.GRAPHS)[graph](spark, d)
-
-
-def whole(f):
-    """The query ``f`` over all events and all orders."""
-
-    @wraps(f)
-    def run(spark, d):
-        token = _WHOLE.set(True)
-        try:
-            return f(spark, d)
-        finally:
-            _WHOLE.reset(token)
-
-    return run
-
-
 def build(spark, d: str, graph: str) -> PropertyGraph:
     """A graph whose tables are written once, as a stream of updates would find them."""
-    g = made(spark, d, graph)
+    g = builders.GRAPHS[graph](spark, d)
     return PropertyGraph(cut(g.vertices), cut(g.edges))
 
 
-def s90(spark, d: str, graph: str):
+def s90(spark, d: str, graph: str, rate: float = 0.1):
     g = build(spark, d, graph)
-    old, new = split_stream(g.edges)
+    old, new = split_stream(g.edges, rate)
     return PropertyGraph(g.vertices, old), new
 
 
 # ---------------------------------------------------------------- SQL of the graphs
 
-_TOGETHER = """SELECT a.p AS src, b.p AS dst, 'co' AS elabel, min(o.o_orderdate) AS ts
- FROM (SELECT DISTINCT l_orderkey AS k, l_partkey AS p FROM lineitem) a JOIN (SELECT DISTINCT l_orderkey AS k, l_partkey AS p FROM lineitem) b ON a.k = b.k AND a.p < b.p
- JOIN orders o ON o.o_orderkey = a.k WHERE o.o_orderpriority = '1-URGENT' {more} GROUP BY 1, 2"""
+_CONSECUTIVE = """SELECT least(a.p, b.p) AS src, greatest(a.p, b.p) AS dst, 'co' AS elabel, min(o.o_orderdate) AS ts
+ FROM (SELECT DISTINCT l_orderkey AS k, l_linenumber AS n, l_partkey AS p FROM lineitem) a JOIN (SELECT DISTINCT l_orderkey AS k, l_linenumber AS n, l_partkey AS p FROM lineitem) b
+ ON a.k = b.k AND b.n = a.n + 1 AND a.p <> b.p JOIN orders o ON o.o_orderkey = a.k GROUP BY 1, 2"""
 _INTERACTION = """SELECT src, dst, elabel, ts FROM (SELECT least(user_id, prev) AS src, greatest(user_id, prev) AS dst, {label} AS elabel, ts,
  row_number() OVER (PARTITION BY least(user_id, prev), greatest(user_id, prev) ORDER BY ts, event_id) AS n
- FROM (SELECT *, lag(user_id) OVER (ORDER BY ts, event_id) AS prev FROM events) WHERE ts >= TIMESTAMP '2024-01-30' AND prev <> user_id) WHERE n = 1"""
+ FROM (SELECT *, lag(user_id) OVER (ORDER BY ts, event_id) AS prev FROM events) WHERE prev <> user_id) WHERE n = 1"""
 _COMMERCE = """SELECT src, dst, elabel, ts FROM (SELECT *, row_number() OVER (PARTITION BY src, dst ORDER BY ts, elabel) AS n FROM (
  SELECT least(a, b) AS src, greatest(a, b) AS dst, elabel, ts FROM (
   SELECT o_custkey * 10 AS a, o_orderkey * 10 + 1 AS b, 'CO:' || o_orderstatus || ':' || substr(o_orderpriority, 1, 1) AS elabel, CAST(o_orderdate AS TIMESTAMP) AS ts FROM orders
@@ -114,8 +91,8 @@ _COMMERCE = """SELECT src, dst, elabel, ts FROM (SELECT *, row_number() OVER (PA
   UNION ALL SELECT s_suppkey * 10 + 3, CAST(s_nationkey AS BIGINT) * 10 + 4, 'SN', TIMESTAMP '1970-01-01' FROM supplier
   UNION ALL SELECT CAST(n_nationkey AS BIGINT) * 10 + 4, CAST(n_regionkey AS BIGINT) * 10 + 5, 'NR', TIMESTAMP '1970-01-01' FROM nation) WHERE a <> b)) WHERE n = 1"""
 EDGES_SQL = {
-    "copurchase": _TOGETHER.format(more="AND o.o_orderstatus = 'F'"),
-    "cobrand": _TOGETHER.format(more=""),
+    "copurchase": _CONSECUTIVE,
+    "cobrand": _CONSECUTIVE,
     "interaction": _INTERACTION.format(label="event_type"),
     "interaction_skew": _INTERACTION.format(label="CASE WHEN value < 61.5 THEN 'main' ELSE event_type END"),
     "commerce": _COMMERCE,
@@ -128,11 +105,11 @@ VERTICES_SQL = {
 }
 
 
-def _base(graph: str) -> str:
+def _base(graph: str, share: str = "0.9") -> str:
     return f"""WITH edges AS MATERIALIZED ({EDGES_SQL[graph]}),
  ranked AS MATERIALIZED (SELECT *, row_number() OVER (ORDER BY ts, src, dst) AS rn, count(*) OVER () AS total FROM edges),
  verts AS MATERIALIZED ({VERTICES_SQL[graph]}),
- arcs AS MATERIALIZED (SELECT src, dst, elabel, rn <= floor(0.9 * total) AS old FROM ranked UNION ALL SELECT dst, src, elabel, rn <= floor(0.9 * total) FROM ranked)"""
+ arcs AS MATERIALIZED (SELECT src, dst, elabel, rn <= floor({share} * total) AS old FROM ranked UNION ALL SELECT dst, src, elabel, rn <= floor({share} * total) FROM ranked)"""
 
 
 def _matches(q: Pattern, where: str, name: str, semantics: str = "iso") -> str:
@@ -161,9 +138,9 @@ def match_sql(graph: str, q: Pattern, semantics: str = "iso") -> str:
     return f"{_base(graph)}, {_matches(q, 'true', 'hit', semantics)} SELECT * FROM hit"
 
 
-def delta_sql(graph: str, q: Pattern, semantics: str = "iso", sign: int = 1) -> str:
-    """Matches that the last tenth of the edges adds (or, deleted again, takes away)."""
-    return f"{_base(graph)}, {_matches(q, 'true', 'late', semantics)}, {_matches(q, 'old', 'early', semantics)} SELECT *, CAST({sign} AS INTEGER) AS sign FROM (SELECT * FROM late EXCEPT SELECT * FROM early)"
+def delta_sql(graph: str, q: Pattern, semantics: str = "iso", sign: int = 1, share: str = "0.9") -> str:
+    """Matches that the last edges, a tenth of them unless told otherwise, add (or, deleted again, take away)."""
+    return f"{_base(graph, share)}, {_matches(q, 'true', 'late', semantics)}, {_matches(q, 'old', 'early', semantics)} SELECT *, CAST({sign} AS INTEGER) AS sign FROM (SELECT * FROM late EXCEPT SELECT * FROM early)"
 
 
 # ---------------------------------------------------------------- queries
@@ -182,9 +159,9 @@ def register(name: str, sql: str | None = None):
     return take
 
 
-def _delta(graph: str, method: str, shape: str, semantics: str = "iso"):
+def _delta(graph: str, method: str, shape: str, semantics: str = "iso", rate: float = 0.1):
     def run(spark, d):
-        g, new = s90(spark, d, graph)
+        g, new = s90(spark, d, graph, rate)
         return M.run_method(method, updates.insertion(g, new), named(graph, shape), g.vertices, semantics)
 
     return run
@@ -211,7 +188,7 @@ def _static(graph: str, shape: str, semantics: str, strategy: str = "first"):
 
 def _fill() -> None:
     for graph in ("copurchase", "cobrand", "interaction", "interaction_skew", "commerce"):
-        register(f"{graph}_edges", EDGES_SQL[graph])(lambda s, d, graph=graph: made(s, d, graph).edges)
+        register(f"{graph}_edges", EDGES_SQL[graph])(lambda s, d, graph=graph: builders.GRAPHS[graph](s, d).edges)
     register("similarity_edges")(lambda s, d: builders.similarity(s, d).edges)
     for graph in ("copurchase", "interaction", "commerce"):
         q = f"WITH edges AS ({EDGES_SQL[graph]}), deg AS (SELECT vid, count(*) AS degree FROM (SELECT unnest([src, dst]) AS vid FROM edges) GROUP BY vid), lab AS (SELECT elabel, count(*) AS c FROM edges GROUP BY elabel)"
@@ -251,7 +228,9 @@ def _fill() -> None:
         for shape in ("path4", "tri3", "square4"):
             if method.startswith("bottomup") and shape != "path4":
                 continue
-            register(f"delta_{method}_{shape}", delta_sql("copurchase", pattern("copurchase", shape)))(_delta("copurchase", method, shape))
+            # recomputation edge by edge gets a batch of one in two hundred edges
+            rate, share = (0.005, "0.995") if method == "local_recompute" else (0.1, "0.9")
+            register(f"delta_{method}_{shape}", delta_sql("copurchase", pattern("copurchase", shape), share=share))(_delta("copurchase", method, shape, rate=rate))
     for method, shape in (("direct_delta", "tree6"), ("direct_delta", "sparse6"), ("direct_delta", "dense6"), ("dag_index", "sparse6"), ("tree_index", "tree6"), ("bottomup_index", "tree6")):
         register(f"delta_{method}_{shape}", delta_sql("copurchase", pattern("copurchase", shape)))(_delta("copurchase", method, shape))
     for graph, shape in (("cobrand", "tri3"), ("interaction", "path4"), ("commerce", "c_tri"), ("commerce", "c_path"), ("commerce", "c_square"), ("commerce", "c_two_lines")):
@@ -279,7 +258,7 @@ def _fill() -> None:
     def mixed(s, d):
         g, new = s90(s, d, "copurchase")
         total = g.edges.count() + new.count()
-        gone = g.edges.withColumn("n", F.row_number().over(Window.orderBy("ts", "src", "dst"))).filter(F.col("n") <= int(total * 0.05)).drop("n")
+        gone = numbered(g.edges, "ts", "src", "dst").filter(F.col("n") < int(total * 0.05)).drop("n")
         minus, plus, _ = updates.mixed(g, updates.inserts(new).unionByName(updates.deletes(gone)))
         signed = M.direct_delta(minus, tri).unionByName(M.direct_delta(plus, tri))
         cols = [c for c in signed.columns if c != "sign"]
@@ -333,16 +312,13 @@ def _fill() -> None:
     def dead(s, d):
         g, new = s90(s, d, "copurchase")
         change = updates.insertion(g, new)
-        tree = M.shape_for("bottomup", path, change.rest, g.vertices)
-        order, parts = list(tree.order), []
+        ix, parts = M.build_index("bottomup", path, change.base, g.vertices), []
         for k in range(path.m):
-            rels = M.local_relations(change, path, tree, g.vertices, k)
-            rows = rels[path.edge_between(order[0], order[1])]
-            rows = rows.select(F.col("src").alias("m0"), F.col("dst").alias("m1"))
-            for i in range(2, path.n):
-                grown = _expand(rows, rels, path, order, i)
-                parts.append(rows.join(grown.select(*rows.columns).distinct(), rows.columns, "left_anti").agg(F.count(F.lit(1)).alias("n")))
-                rows = grown
+            levels: list[DataFrame] = []
+            last = M.bottomup_term(ix, change, k, "hom", seen=lambda depth, k, rows, grown: levels.append(rows))  # noqa: B023
+            for rows, next_rows in zip(levels, [*levels[1:], last], strict=True):
+                parts.append(rows.join(next_rows.select(*rows.columns).distinct(), rows.columns, "left_anti").agg(F.count(F.lit(1)).alias("n")))
+            ix = ix.updated(change, k)
         return reduce(DataFrame.unionByName, parts).agg(F.sum("n").alias("dead_empty"))
 
     @register("advise_table", _advise_sql())
@@ -361,12 +337,6 @@ def _fill() -> None:
     register("cube_stream", f"{_base('copurchase')} SELECT vlabel, CAST(rn > floor(0.9 * total) AS INTEGER) AS late, count(*) AS n FROM ranked JOIN verts ON src = vid GROUP BY CUBE (vlabel, CAST(rn > floor(0.9 * total) AS INTEGER))")(_cube)
 
 
-def _expand(rows, rels, q, order, i):
-    from graphdelta.operators.extend import expand
-
-    return expand(rows, rels, q, order[i], order[:i])
-
-
 def _change(s, d):
     g, new = s90(s, d, "copurchase")
     return updates.insertion(g, new)
@@ -422,12 +392,3 @@ def _distinct(s, d):
     q = Pattern((None,) * 3, ((0, 1, None), (1, 2, None), (0, 2, None)))
     arcs = cut(build(s, d, "interaction").arcs())
     return distinct_subgraphs(match(relations(arcs, q), q, orders.any_connected(q)), 3).agg(F.count(F.lit(1)).alias("n_subgraphs"))
-
-
-#: Parts of the names of queries that take no sliced graph.
-UNSLICED = ("commerce", "two_lines", "similarity", "advise_table", "stream_window_counts")
-
-# the same queries over whole tables; SQL over them is too slow, tests hold them against brute force
-for _name, _query in list(QUERIES.items()):
-    if not any(part in _name for part in UNSLICED):
-        register(f"{_name}_all")(whole(_query))

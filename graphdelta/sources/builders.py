@@ -15,34 +15,24 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def _together(spark: SparkSession, sf_dir: str, orders: DataFrame, label: str) -> PropertyGraph:
-    """Parts of one order, linked; labels are a column of part."""
-    lines = read(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("k"), F.col("l_partkey").alias("p")).distinct()
-    mine = orders.select(F.col("o_orderkey").alias("k"), F.col("o_orderdate").alias("ts"))
-    kept = lines.join(mine, "k")
-    pairs = kept.select("k", "ts", F.col("p").alias("src")).join(kept.select("k", F.col("p").alias("dst")), "k").filter("src < dst")
-    edges = pairs.groupBy("src", "dst").agg(F.min("ts").alias("ts")).select("src", "dst", F.lit("co").alias("elabel"), "ts")
+def _consecutive(spark: SparkSession, sf_dir: str, label: str) -> PropertyGraph:
+    """Parts on consecutive lines of an order, over all orders, from the earliest date on; labels are a column of part."""
+    lines = read(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("k"), F.col("l_linenumber").alias("n"), F.col("l_partkey").alias("p")).distinct()
+    dated = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("k"), F.col("o_orderdate").alias("ts"))
+    pairs = lines.join(lines.select("k", (F.col("n") - 1).alias("n"), F.col("p").alias("q")), ["k", "n"]).filter("p != q").join(dated, "k")
+    ends = pairs.groupBy(F.least("p", "q").alias("src"), F.greatest("p", "q").alias("dst")).agg(F.min("ts").alias("ts"))
+    edges = ends.select("src", "dst", F.lit("co").alias("elabel"), "ts")
     return PropertyGraph(read(spark, sf_dir, "part").select(F.col("p_partkey").alias("vid"), F.col(label).alias("vlabel")), edges)
 
 
 def copurchase(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """Parts bought together in urgent, filled orders; vertex labels are part types."""
-    return _together(spark, sf_dir, read(spark, sf_dir, "orders").filter("o_orderpriority = '1-URGENT' and o_orderstatus = 'F'"), "p_type")
+    """Parts ordered one after the other; vertex labels are part types."""
+    return _consecutive(spark, sf_dir, "p_type")
 
 
 def cobrand(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """Parts bought together in urgent orders; vertex labels are brands."""
-    return _together(spark, sf_dir, read(spark, sf_dir, "orders").filter("o_orderpriority = '1-URGENT'"), "p_brand")
-
-
-def copurchase_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """Parts bought together in any order; vertex labels are part types."""
-    return _together(spark, sf_dir, read(spark, sf_dir, "orders"), "p_type")
-
-
-def cobrand_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """Parts bought together in any order; vertex labels are brands."""
-    return _together(spark, sf_dir, read(spark, sf_dir, "orders"), "p_brand")
+    """Parts ordered one after the other; vertex labels are brands."""
+    return _consecutive(spark, sf_dir, "p_brand")
 
 
 def previous_user(events: DataFrame) -> DataFrame:
@@ -59,11 +49,9 @@ def previous_user(events: DataFrame) -> DataFrame:
     return inside.join(carried, "hour").select("event_id", "ts", "user_id", "event_type", "value", F.coalesce("before", "carried").alias("previous"))
 
 
-def interaction(spark: SparkSession, sf_dir: str, since: str | None = "2024-01-30", label=None) -> PropertyGraph:
-    """Users that act one after the other, from a time on or ever; edge labels are event types, all vertices are alike."""
+def interaction(spark: SparkSession, sf_dir: str, label=None) -> PropertyGraph:
+    """Users that act one after the other; edge labels are event types, all vertices are alike."""
     rows = previous_user(read(spark, sf_dir, "events")).filter(F.col("previous").isNotNull() & (F.col("previous") != F.col("user_id")))
-    if since is not None:
-        rows = rows.filter(F.col("ts") >= F.lit(since).cast("timestamp"))
     ends = rows.select(F.least("user_id", "previous").alias("src"), F.greatest("user_id", "previous").alias("dst"), (F.col("event_type") if label is None else label).alias("elabel"), "ts", "event_id")
     first = ends.groupBy("src", "dst").agg(F.min(F.struct("ts", "event_id", "elabel")).alias("f"))
     edges = first.select("src", "dst", "f.elabel", "f.ts")
@@ -71,19 +59,9 @@ def interaction(spark: SparkSession, sf_dir: str, since: str | None = "2024-01-3
     return PropertyGraph(users, edges)
 
 
-def interaction_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """The interaction graph of all events."""
-    return interaction(spark, sf_dir, since=None)
-
-
-def interaction_skew(spark: SparkSession, sf_dir: str, since: str | None = "2024-01-30") -> PropertyGraph:
+def interaction_skew(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """The same graph with most edges under one label."""
-    return interaction(spark, sf_dir, since, label=F.when(F.col("value") < 61.5, "main").otherwise(F.col("event_type")))
-
-
-def interaction_skew_all(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """The skewed graph of all events."""
-    return interaction_skew(spark, sf_dir, since=None)
+    return interaction(spark, sf_dir, label=F.when(F.col("value") < 61.5, "main").otherwise(F.col("event_type")))
 
 
 def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -142,6 +120,3 @@ def similarity(spark: SparkSession, sf_dir: str, k: int = 8, block: int = 512) -
 
 
 GRAPHS = {"copurchase": copurchase, "cobrand": cobrand, "interaction": interaction, "interaction_skew": interaction_skew, "commerce": commerce, "similarity": similarity}
-#: The graphs above that hold a slice of their tables, over the whole tables.
-WHOLE = {"copurchase": copurchase_all, "cobrand": cobrand_all, "interaction": interaction_all, "interaction_skew": interaction_skew_all}
-GRAPHS |= {f"{name}_all": make for name, make in WHOLE.items()}

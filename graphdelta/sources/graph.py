@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphdelta.schema import ARC_COLUMNS
+from graphdelta.sources.storage import cut
 
 
 @dataclass
@@ -35,22 +36,23 @@ def simple(rows: DataFrame) -> DataFrame:
     return first.select("src", "dst", "f.elabel", "f.ts")
 
 
-def split_stream(edges: DataFrame, rate: float = 0.1, buckets: int = 256) -> tuple[DataFrame, DataFrame]:
-    """Initial edges and the last part by (ts, src, dst) as the insert stream.
+def numbered(rows: DataFrame, *keys: str) -> DataFrame:
+    """The rows with ``n``, their place from 0 in the order of ``keys``, which must tell all rows apart.
 
-    Ranks come from per-day counts: only the day that holds the cut is ordered as a whole.
+    Rows are dealt by ranges and sorted apart from each other; only the counts of the ranges are added up in one place.
     """
-    day = F.date_trunc("day", "ts")
-    counts = edges.groupBy(day.alias("day")).count()
-    total = counts.agg(F.coalesce(F.sum("count"), F.lit(0))).first()[0]
-    keep = int(total * (1 - rate) + 1e-9)
-    before = counts.withColumn("before", F.sum("count").over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)))
-    cut = before.withColumn("before", F.coalesce("before", F.lit(0))).filter((F.col("before") <= keep) & (F.col("before") + F.col("count") > keep)).first()
-    if cut is None:
-        return edges, edges.limit(0)
-    inside = edges.filter(day == F.lit(cut["day"])).withColumn("n", F.row_number().over(Window.orderBy("ts", "src", "dst")))
-    first, last = inside.filter(F.col("n") <= keep - cut["before"]).drop("n"), inside.filter(F.col("n") > keep - cut["before"]).drop("n")
-    return edges.filter(day < F.lit(cut["day"])).unionByName(first), edges.filter(day > F.lit(cut["day"])).unionByName(last)
+    within = F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)
+    placed = cut(rows.orderBy(*keys).select("*", F.spark_partition_id().alias("_part"), within.alias("_place")), "numbered")
+    sizes = placed.groupBy("_part").agg(F.count(F.lit(1)).alias("_size"))
+    before = sizes.select("_part", F.coalesce(F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    return placed.join(F.broadcast(before), "_part").withColumn("n", F.col("_place") + F.col("_before")).drop("_part", "_place", "_before")
+
+
+def split_stream(edges: DataFrame, rate: float = 0.1) -> tuple[DataFrame, DataFrame]:
+    """Initial edges and the last part by (ts, src, dst) as the insert stream."""
+    placed = numbered(edges, "ts", "src", "dst")
+    keep = int(placed.count() * (1 - rate) + 1e-9)
+    return placed.filter(F.col("n") < keep).drop("n"), placed.filter(F.col("n") >= keep).drop("n")
 
 
 def split_hash(edges: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -57,9 +57,10 @@ def core_numbers(edges: DataFrame, most_rounds: int | None = None) -> DataFrame:
     arcs = edges.select("src", "dst").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
     core = cut(degrees(edges).select("vid", F.col("degree").alias("core")))
     for _ in count() if most_rounds is None else range(most_rounds):
-        near = arcs.join(core.select(F.col("vid").alias("dst"), "core"), "dst")
-        ranked = near.withColumn("n", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("core"))))
-        new = cut(ranked.groupBy("src").agg(F.max(F.least("n", "core")).alias("core")).select(F.col("src").alias("vid"), F.col("core").cast("long").alias("core")))
+        near = arcs.join(core.select(F.col("vid").alias("dst"), "core"), "dst").groupBy("src", "core").agg(F.count(F.lit(1)).alias("c"))
+        # h-index from how many neighbours have each core: a hub is one row a value, not one a neighbour
+        above = near.withColumn("n", F.sum("c").over(Window.partitionBy("src").orderBy(F.desc("core"))))
+        new = cut(above.groupBy("src").agg(F.max(F.least("n", "core")).alias("core")).select(F.col("src").alias("vid"), F.col("core").cast("long").alias("core")))
         changed = new.join(core.withColumnRenamed("core", "old"), "vid").filter("core != old").limit(1).count()
         core = new
         if not changed:

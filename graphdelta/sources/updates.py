@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphdelta.plans.relations import Change
-from graphdelta.sources.graph import PropertyGraph, arcs_of
+from graphdelta.sources.graph import PropertyGraph, arcs_of, numbered
 from graphdelta.sources.storage import cut
 
 EDGE = ["src", "dst", "elabel", "ts"]
@@ -23,35 +23,34 @@ def deletes(edges: DataFrame) -> DataFrame:
 def normalise(batch: DataFrame, edges: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """(deleted, inserted) edges of a mixed batch.
 
-    Loops go; ends are ordered; of repeated operations on one edge and label the last by seq counts; an edge and label
-    in both parts cancels.  Against the current edges, inserting what is there and deleting what is not has no effect.
+    Loops go and ends are ordered.  Of the operations on one edge and label the last by seq counts (by ts where there is
+    no seq; a deletion before an insertion of the same time).  Against the current edges, inserting what is there and
+    deleting what is not has no effect; a pair that keeps its edge takes no second one, and of two labels that a batch
+    inserts for one pair the first by (ts, label) stays.  Without the current edges every last operation is taken.
     """
-    rows = batch.filter("src != dst").select("op", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "elabel", "ts", *(["seq"] if "seq" in batch.columns else []))
     order = "seq" if "seq" in batch.columns else "ts"
-    last = rows.groupBy("op", "src", "dst", "elabel").agg(F.max(F.struct(F.col(order).alias("o"), "ts")).alias("x")).select("op", "src", "dst", "elabel", "x.ts")
+    ends = batch.filter("src != dst").select("op", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "elabel", "ts", F.col(order).alias("o"))
+    last = ends.groupBy("src", "dst", "elabel").agg(F.max(F.struct("o", F.expr("op = '+'").alias("plus"), "ts")).alias("x")).select("src", "dst", "elabel", "x.ts", "x.plus")
+    minus, plus = last.filter("not plus").select(*EDGE), last.filter("plus").select(*EDGE)
+    if edges is None:
+        return minus, plus
     key = ["src", "dst", "elabel"]
-    minus, plus = last.filter("op = '-'").select(*EDGE), last.filter("op = '+'").select(*EDGE)
-    out_minus, out_plus = minus.join(plus.select(*key), key, "left_anti"), plus.join(minus.select(*key), key, "left_anti")
-    if edges is not None:
-        out_minus = out_minus.join(edges.select(*key), key, "left_semi")
-        free = edges.join(out_minus.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst")
-        out_plus = out_plus.join(free, ["src", "dst"], "left_anti")
-        one = Window.partitionBy("src", "dst").orderBy("ts", "elabel")
-        out_plus = out_plus.withColumn("n", F.row_number().over(one)).filter("n = 1").drop("n")
-    return out_minus.select(*EDGE), out_plus.select(*EDGE)
+    minus = minus.join(edges.select(*key), key, "left_semi")
+    kept = edges.join(minus.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst")
+    plus = plus.join(kept, ["src", "dst"], "left_anti")
+    first = plus.groupBy("src", "dst").agg(F.min(F.struct("ts", "elabel")).alias("f")).select("src", "dst", "f.elabel", "f.ts")
+    return minus.select(*EDGE), first.select(*EDGE)
 
 
 def insertion(g: PropertyGraph, new: DataFrame) -> Change:
-    """Change from a graph to the graph with new edges; its arcs are written once."""
-    old, delta = g.arcs().withColumn("new", F.lit(False)), arcs_of(new, g.vertices).withColumn("new", F.lit(True))
-    return Change(cut(old.unionByName(delta)), 1)
+    """Change from a graph to the graph with new edges; its arcs and the batch's are written once."""
+    return Change(cut(g.arcs(), "arcs"), cut(arcs_of(new, g.vertices), "delta"), 1)
 
 
 def deletion(g: PropertyGraph, gone: DataFrame) -> Change:
     """Change from a graph to the graph without some of its edges."""
-    marked = gone.select("src", "dst", F.lit(True).alias("new"))
-    arcs = g.arcs().join(marked.unionByName(marked.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "new")), ["src", "dst"], "left")
-    return Change(cut(arcs.withColumn("new", F.coalesce("new", F.lit(False)))), -1)
+    mine = g.edges.join(gone.select("src", "dst").distinct(), ["src", "dst"], "left_semi")
+    return Change(cut(g.arcs(), "arcs"), cut(arcs_of(mine, g.vertices), "delta"), -1)
 
 
 def applied(g: PropertyGraph, minus: DataFrame, plus: DataFrame) -> PropertyGraph:
@@ -91,6 +90,6 @@ def window_by_count(edges: DataFrame, most: int) -> DataFrame:
 
 
 def batches(edges: DataFrame, size: int) -> DataFrame:
-    """Insert stream cut into batches by (ts, src, dst); the stream is the small side, a tenth of the graph."""
-    n = F.row_number().over(Window.orderBy("ts", "src", "dst")) - 1
-    return inserts(edges).withColumn("seq", n.cast("long")).withColumn("batch_id", F.floor(F.col("seq") / size).cast("long"))
+    """Insert stream with seq, the place by (ts, src, dst) from 0, cut into batches of ``size`` edges."""
+    placed = numbered(edges.select(*EDGE), "ts", "src", "dst").withColumnRenamed("n", "seq")
+    return placed.select(F.floor(F.col("seq") / size).cast("long").alias("batch_id"), "seq", F.lit("+").alias("op"), *EDGE)

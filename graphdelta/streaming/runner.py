@@ -5,39 +5,47 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphdelta.methods.matchers import run_method
+from graphdelta.methods.state import MatchState, apply_batch, prepare
 from graphdelta.pattern.model import Pattern
 from graphdelta.sources.graph import PropertyGraph
-from graphdelta.sources.updates import applied, deletion, insertion, normalise
+from graphdelta.sources.updates import deletes, inserts, normalise
 
+LOG = "op string, src long, dst long, elabel string, ts timestamp, batch_id int"
 UPDATE = "seq long, op string, src long, dst long, elabel string, ts timestamp"
 
 
 class StreamMatcher:
-    """foreachBatch target: signed matches of every batch under ``out``/batch_id=..., edges under ``state``/v.
+    """foreachBatch target: signed matches of every batch under ``out``/batch_id=...; the method's state is kept between triggers.
 
-    A batch that is replayed after a restart finds the edges of the version before it and writes its own folder anew,
-    so no match is reported twice.
+    The normalised edges of each batch are written beside its matches.  A replayed batch starts from the state before
+    it and writes its folders anew; a restarted matcher makes its state from the first edges and the logged batches
+    before the one that comes, so no match is reported twice.
     """
 
     def __init__(self, g: PropertyGraph, q: Pattern, folder: str, method: str = "direct_delta", semantics: str = "iso"):
-        self.q, self.folder, self.method, self.semantics = q, folder.rstrip("/"), method, semantics
-        self.vertices = g.vertices
-        g.edges.select("src", "dst", "elabel", "ts").write.mode("overwrite").parquet(f"{self.folder}/state/v0")
-
-    def edges(self, spark: SparkSession, version: int) -> DataFrame:
-        return spark.read.parquet(f"{self.folder}/state/v{version}")
+        self.folder, self.first = folder.rstrip("/"), (g, q, method, semantics)
+        self.states: dict[int, MatchState] = {}
+
+    def state_before(self, spark: SparkSession, batch_id: int) -> MatchState:
+        if batch_id not in self.states:
+            g, q, method, semantics = self.first
+            if batch_id:
+                log = spark.read.schema(LOG).parquet(f"{self.folder}/log").filter(F.col("batch_id") < batch_id)
+                last = log.groupBy("src", "dst").agg(F.max(F.struct("batch_id", F.expr("op = '+'").alias("plus"), "elabel", "ts")).alias("x")).select("src", "dst", "x.plus", "x.elabel", "x.ts")
+                kept = g.edges.join(last, ["src", "dst"], "left_anti").select("src", "dst", "elabel", "ts")
+                g = PropertyGraph(g.vertices, kept.unionByName(last.filter("plus").select("src", "dst", "elabel", "ts")))
+            self.states[batch_id] = prepare(g, q, method, semantics)
+        return self.states[batch_id]
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        spark = batch.sparkSession
-        g = PropertyGraph(self.vertices, self.edges(spark, batch_id))
-        minus, plus = normalise(batch, g.edges)
-        gone = deletion(g, minus)
-        between = applied(g, minus, plus.limit(0))
-        came = insertion(between, plus)
-        one = lambda change: run_method(self.method, change, self.q, self.vertices, self.semantics)
-        one(gone).unionByName(one(came)).write.mode("overwrite").parquet(f"{self.folder}/out/batch_id={batch_id}")
-        applied(g, minus, plus).write.mode("overwrite").parquet(f"{self.folder}/state/v{batch_id + 1}")
+        state = self.state_before(batch.sparkSession, batch_id)
+        edges = state.arcs.now().filter("src < dst").select("src", "dst", "elabel")
+        minus, plus = normalise(batch, edges)
+        done = deletes(minus).unionByName(inserts(plus))
+        done.write.mode("overwrite").parquet(f"{self.folder}/log/batch_id={batch_id}")
+        after, found = apply_batch(state, done)
+        found.write.mode("overwrite").parquet(f"{self.folder}/out/batch_id={batch_id}")
+        self.states = {batch_id: state, batch_id + 1: after}
 
     def run(self, stream: DataFrame) -> None:
         """Process all that the stream holds now and stop; a later call goes on from its checkpoint."""

@@ -16,7 +16,7 @@ def spark(tmp_path_factory):
         SparkSession.builder.master("local[4]")
         .config("spark.sql.shuffle.partitions", "2")
         .config("spark.default.parallelism", "2")
-        .config("spark.sql.codegen.wholeStage", "false")
+        .config("spark.sql.codegen.wholeStage", "false")  # tables of a few rows: compiling would be most of the time
         .config("spark.sql.codegen.factoryMode", "NO_CODEGEN")
         .config("spark.sql.adaptive.enabled", "false")
         .config("spark.ui.enabled", "false")
