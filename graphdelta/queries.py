@@ -372,16 +372,6 @@ def _advise_sql() -> str:
 _fill()
 
 
-@register(
-    "stream_window_counts",
-    "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
-)
-def _window_counts(s, d):
-    from graphdelta.streaming.runner import window_counts
-
-    return window_counts(builders.read(s, d, "events"), "1 day")
-
-
 @register(
     "distinct_tri3_subgraphs",
     f"{_base('interaction')}, {_matches(Pattern((None,) * 3, ((0, 1, None), (1, 2, None), (0, 2, None))), 'true', 'hit')} SELECT count(*) // 6 AS n_subgraphs FROM hit",

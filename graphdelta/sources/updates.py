@@ -84,6 +84,13 @@ def window_by_time(edges: DataFrame, now, length: str) -> DataFrame:
     return edges.filter((F.col("ts") <= end) & (F.col("ts") > end - F.expr(f"interval {length}")))
 
 
+def slide(edges: DataFrame, then, now, length: str) -> DataFrame:
+    """The batch that moves a time window on: edges that leave it are deletions, those that enter it insertions."""
+    before, after = window_by_time(edges, then, length), window_by_time(edges, now, length)
+    key = ["src", "dst"]
+    return deletes(before.join(after.select(*key), key, "left_anti")).unionByName(inserts(after.join(before.select(*key), key, "left_anti")))
+
+
 def window_by_count(edges: DataFrame, most: int) -> DataFrame:
     """The last ``most`` edges by (ts, src, dst)."""
     return edges.orderBy(F.desc("ts"), F.desc("src"), F.desc("dst")).limit(most)
