@@ -164,10 +164,10 @@ def _signed_sql(ctes: str, q: Pattern, before: str, after: str) -> str:
     return f"{ctes}, {one}, {two} SELECT *, CAST(1 AS INTEGER) AS sign FROM (SELECT * FROM late EXCEPT SELECT * FROM early) UNION ALL SELECT *, CAST(-1 AS INTEGER) FROM (SELECT * FROM early EXCEPT SELECT * FROM late)"
 
 
-_SLIDE = f"WITH e AS MATERIALIZED (SELECT *, ts <= TIMESTAMP '2024-01-20' AND ts > TIMESTAMP '2024-01-15' AS then, ts <= TIMESTAMP '2024-01-21' AND ts > TIMESTAMP '2024-01-16' AS now FROM ({INTER})), {_windowed('then')}, {_windowed('now')}"
+_SLIDE = f"WITH e AS MATERIALIZED (SELECT *, ts <= TIMESTAMP '2024-01-20' AND ts > TIMESTAMP '2024-01-15' AS was, ts <= TIMESTAMP '2024-01-21' AND ts > TIMESTAMP '2024-01-16' AS now FROM ({INTER})), {_windowed("was")}, {_windowed('now')}"
 
 
-@register("sliding_window_wedge", _signed_sql(_SLIDE, INTER_WEDGE, "arcs_then", "arcs_now"))
+@register("sliding_window_wedge", _signed_sql(_SLIDE, INTER_WEDGE, "arcs_was", "arcs_now"))
 def sliding_window_wedge(s, d):
     g = build(s, d, "interaction")
     then = updates.window_by_time(g.edges, "2024-01-20", "5 days")
@@ -175,9 +175,9 @@ def sliding_window_wedge(s, d):
     return net(apply_batch(state, updates.slide(g.edges, "2024-01-20", "2024-01-21", "5 days"))[1])
 
 
-_RELABEL = f"""WITH e AS MATERIALIZED (SELECT f.src, f.dst, f.elabel AS then, l.elabel AS now FROM ({INTER}) f JOIN (SELECT least(user_id, prev) AS src, greatest(user_id, prev) AS dst, arg_max(event_type, CAST(epoch_us(ts) AS HUGEINT) * 10000000 + event_id) AS elabel
+_RELABEL = f"""WITH e AS MATERIALIZED (SELECT f.src, f.dst, f.elabel AS was, l.elabel AS now FROM ({INTER}) f JOIN (SELECT least(user_id, prev) AS src, greatest(user_id, prev) AS dst, arg_max(event_type, CAST(epoch_us(ts) AS HUGEINT) * 10000000 + event_id) AS elabel
  FROM (SELECT *, lag(user_id) OVER (ORDER BY ts, event_id) AS prev FROM events) WHERE prev <> user_id GROUP BY 1, 2) l USING (src, dst)),
- arcs_then AS MATERIALIZED (SELECT src, dst, then AS elabel FROM e UNION ALL SELECT dst, src, then FROM e), arcs_now AS MATERIALIZED (SELECT src, dst, now AS elabel FROM e UNION ALL SELECT dst, src, now FROM e)"""
+ arcs_was AS MATERIALIZED (SELECT src, dst, was AS elabel FROM e UNION ALL SELECT dst, src, was FROM e), arcs_now AS MATERIALIZED (SELECT src, dst, now AS elabel FROM e UNION ALL SELECT dst, src, now FROM e)"""
 
 
 def _relabelled(method: str):
@@ -192,7 +192,7 @@ def _relabelled(method: str):
 
 
 for _method in ("direct_delta", "dag_index"):
-    register(f"relabel_tri3_{_method}", _signed_sql(_RELABEL, INTER_TRI, "arcs_then", "arcs_now"))(_relabelled(_method))
+    register(f"relabel_tri3_{_method}", _signed_sql(_RELABEL, INTER_TRI, "arcs_was", "arcs_now"))(_relabelled(_method))
 
 _VERTEX = f"{CO}, arcs_kept AS MATERIALIZED (SELECT * FROM arcs WHERE src % 50 <> 0 AND dst % 50 <> 0)"
 
