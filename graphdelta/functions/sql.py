@@ -20,6 +20,23 @@ def distinct_subgraphs(matches: DataFrame, n: int) -> DataFrame:
     return matches.select(subgraph_key(n).alias("key")).distinct()
 
 
+def match_count(sign: Column | str = "sign") -> Column:
+    """Net number of matches of signed rows; an aggregate."""
+    return F.coalesce(F.sum(sign), F.lit(0)).cast("long")
+
+
+def geo_mean_speedup(ta: Column | str, tb: Column | str) -> Column:
+    """Geometric mean over rows of tb over ta; an aggregate."""
+    a, b = (F.col(t) if isinstance(t, str) else t for t in (ta, tb))
+    return F.exp(F.avg(F.log(b / a)))
+
+
+def relative_max(x: Column | str) -> Column:
+    """Mean of a measure over its largest value in the group; an aggregate, 1 where nothing is greater than zero."""
+    x = F.col(x) if isinstance(x, str) else x
+    return F.when(F.max(x) > 0, F.avg(x) / F.max(x)).otherwise(F.lit(1.0))
+
+
 @udtf(returnType="u int, w int, elabel string")
 class PatternEdges:
     def eval(self, text: str):
@@ -35,8 +52,8 @@ class DirectOrder:
 
 def register(spark: SparkSession) -> None:
     """pattern_class, pattern_diameter, pattern_edges and direct_order for spark.sql."""
-    spark.udf.register("pattern_class", lambda text: from_json(text).density_class, "string")
-    spark.udf.register("pattern_diameter", lambda text: from_json(text).diameter, "int")
+    spark.udf.register("pattern_class", F.udf(lambda text: text and from_json(text).density_class, "string", useArrow=True))
+    spark.udf.register("pattern_diameter", F.udf(lambda text: text and from_json(text).diameter, "int", useArrow=True))
     spark.udtf.register("pattern_edges", PatternEdges)
     spark.udtf.register("direct_order", DirectOrder)
 

@@ -6,6 +6,7 @@ import threading
 import time
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -69,34 +70,57 @@ def summary(values: DataFrame) -> DataFrame:
     return values.groupBy("method").agg(F.count(F.lit(1)).alias("n"), F.avg("x").alias("mean"), F.stddev_samp("x").alias("deviation"), F.min("x").alias("least"), F.max("x").alias("most"))
 
 
+def invalid(counters: DataFrame, results: int) -> DataFrame:
+    """(n_invalid, n_results): all dead ends of the depths of ``depth_counters``, and final rows."""
+    return counters.agg(F.coalesce(F.sum(F.col("dead_empty") + F.col("dead_revisit")), F.lit(0)).alias("n_invalid")).withColumn("n_results", F.lit(results).cast("long"))
+
+
+def bytes_of(df: DataFrame) -> int:
+    """Bytes of the files that a written table (an index ledger's base, arcs) reads."""
+    sc = df.sparkSession.sparkContext
+    conf = sc._jsc.hadoopConfiguration()
+    paths = [sc._jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+    return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)
+
+
 def status_of(seconds: float, results: int, limit: float, hard_below: int) -> str:
-    """solved, unsolved, or hard: unsolved with few results."""
+    """solved, unsolved, or hard: unsolved with few results found until then."""
     return "solved" if seconds <= limit else "hard" if results < hard_below else "unsolved"
 
 
 def timed(df: DataFrame, limit: float = 60.0, hard_below: int = 1_000_000) -> dict:
-    """Count a result within a time limit; past it the job is cancelled by its tag."""
-    spark = df.sparkSession
+    """Count a result within a time limit; past it the job is cancelled by its tag, and what its ended tasks found counts."""
+    sc = df.sparkSession.sparkContext
     tag = f"timed-{threading.get_ident()}-{time.monotonic_ns()}"
+    so_far = sc.accumulator(0)
     out: dict = {}
 
+    def count(batches):
+        n = sum(b.num_rows for b in batches)
+        so_far.add(n)
+        yield pa.RecordBatch.from_arrays([pa.array([n], type=pa.int64())], names=["n"])
+
     def work() -> None:
-        spark.addTag(tag)
+        sc.addJobTag(tag)
+        sc.setInterruptOnCancel(True)
         try:
-            out["results"] = df.count()
+            rows = df.select(F.lit(True).alias("one")).mapInArrow(count, "n long")
+            out["results"] = rows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
         except Exception as e:  # cancelled, or failed on its own
             out["error"] = str(e)[:200]
         finally:
-            spark.removeTag(tag)
+            sc.removeJobTag(tag)
 
     began = time.monotonic()
     job = threading.Thread(target=work)
     job.start()
     job.join(limit)
-    if job.is_alive():
-        spark.interruptTag(tag)
+    cancelled = job.is_alive()
+    if cancelled:
+        sc.cancelJobsWithTag(tag)
         job.join()
     seconds = time.monotonic() - began
-    if "error" in out and seconds <= limit:
+    if "error" in out and not cancelled:
         raise RuntimeError(out["error"])
-    return {"seconds": seconds, "results": out.get("results", 0), "status": status_of(seconds, out.get("results", 0), limit, hard_below)}
+    results = out.get("results", so_far.value)
+    return {"seconds": seconds, "results": results, "status": "solved" if "results" in out else status_of(max(seconds, limit + 1e-9), results, limit, hard_below)}
