@@ -2,6 +2,10 @@
 
 Each stage works on all that the one before kept and returns the columns of ``documents``; the last one encodes
 what is left.  Near duplicates share five-word shingles at a similarity of 0.8 or more.
+
+Defined results: null and empty texts are judged as texts without words and, if a filter keeps them, stay (they are no
+near copies of each other); rows with a null doc_id are judged by their text and are copies of nothing; repeated rows
+are judged alike; other columns, whatever their names, pass untouched; an empty table gives no row.
 """
 
 from __future__ import annotations
@@ -11,9 +15,9 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from graphdelta.llm import bpe, decontaminate, jaccard, quality, toxicity
-from graphdelta.llm.common import shared_dir, table
+from graphdelta.llm.common import saved, shared_dir, table  # noqa: F401
 
-#: SQL cannot express the learned stages; tests cover the operators, none runs the stages in a chain.
+#: SQL cannot express the learned stages; ``tests/llm/test_pipeline.py`` holds each against a plain version.
 ORACLE_SQL = None
 
 
@@ -60,6 +64,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = f"{shared_dir(spark)}/graphdelta/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES:
         path = f"{folder}/{name}"
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        kept = stage(spark, docs, sf_dir)
+        kept.write.parquet(path)
+        docs = spark.read.schema(kept.schema).parquet(path)
     return docs
