@@ -4,13 +4,14 @@ Positives are trusted documents (label 1); the unlabelled side is a sample of th
 alike.  A linear scorer over writing features minimises the non-negative unbiased risk: the risk of the positives
 as positive, plus what is left of the unlabelled risk once the positives' share of it, the class prior, is taken off,
 and never less than zero.  The prior is estimated from positives and unlabelled text alone: over a part that was not
-trained on, the smallest ratio of the unlabelled to the positive share below a score bounds the share of positives.
+trained on, the smallest ratio of the unlabelled to the positive share at or over a score bounds the share of positives.
 
 Samples are bounded (``MOST_TEXTS`` of each side, by a hash of the id, outside the held-out fold) and the model has a
 fixed size; every document is scored over its whole text.
 
 Defined results: null and empty texts are scored as texts without words; equal texts get equal scores; without any
-positive every score is 0.5; extra columns are ignored.
+positive every score is 0.5; rows with a null doc_id are scored, count as held out and teach nothing; extra columns are
+ignored.
 """
 
 from __future__ import annotations

@@ -13,7 +13,8 @@ fixed size.  The settings below were chosen by halves of the training side of on
 
 Defined results: null and empty texts have no window and get the score of a text without toxic windows; equal texts
 get equal scores; with no toxic or no ordinary training text every score is 0 or 1 after the class there is, and 0
-with none; texts are scored whole, whatever their length; extra columns are ignored.
+with none; texts are scored whole, whatever their length; rows with a null doc_id are scored, count as held out and teach
+nothing; repeated rows get equal scores; an empty table gives no row; extra columns are ignored.
 """
 
 from __future__ import annotations

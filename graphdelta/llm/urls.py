@@ -7,7 +7,7 @@ weight vector has ``BUCKETS`` numbers whatever the corpus holds, so it travels a
 
 Defined results: a null URL or one without ``://`` has an empty host and path and the verdict of the regression on
 an empty feature set (its bias); an empty table gives no row; repeated URLs are judged alike; other columns are
-ignored.
+ignored.  A null page_id is judged like any other.
 """
 
 from __future__ import annotations
