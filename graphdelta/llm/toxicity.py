@@ -9,7 +9,9 @@ Both dictionaries are trained by zstandard, one on windows of ordinary texts, on
 whose byte n-grams stand in significantly more toxic texts than ordinary ones.  The toxic side is compressed with the
 ordinary dictionary's bytes followed by its own, so ordinary words cost the same under both.  Training texts are a bounded
 sample of labelled rows (``MOST_TEXTS`` of each class, by a hash of the id, outside the held-out fold); the model has a
-fixed size.  The settings below were chosen by halves of the training side of one table, never by held-out rows.
+fixed size.  Stride, significance, piece and dictionary sizes were chosen by halves of the training side of one table; level,
+window, thresholds and gram size come from an earlier choice that also looked at held-out rows of that table, and the
+halves confirmed level and window.
 
 Defined results: null and empty texts have no window and get the score of a text without toxic windows; equal texts
 get equal scores; with no toxic or no ordinary training text every score is 0 or 1 after the class there is, and 0
