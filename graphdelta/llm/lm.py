@@ -1,9 +1,10 @@
 """Log-bilinear language model, trained by noise-contrastive estimation and scored with exact normalisation.
 
-Token counts cover the whole training side.  The most frequent tokens are the model's classes; all others share one
-class, inside which a token has its smoothed share.  A context is the two tokens before; its prediction is a
-weighted sum of their vectors, and a batched matrix product over the distinct contexts of a run of texts gives every
-class's score and so the normalised log-probabilities.
+Token counts cover the whole training side.  The model has two levels.  Its classes are the end, the most frequent
+words, the endings that most tokens of the other words have, and one class for what is left; a word has its smoothed share of its
+class, and any word, seen or not, has a class, as target and as context.  A context is the two tokens before; its
+prediction is a weighted sum of their vectors, and a batched matrix product over the distinct contexts of a run of texts
+gives every class's score and so the normalised log-probabilities.
 
 Training tells a token from tokens drawn by frequency.  It starts from a small fixed number of texts; then every
 partition of the training side goes on over all its texts, and the parameters are averaged by tokens seen, which
@@ -26,8 +27,9 @@ from pyspark.sql import functions as F
 from graphdelta.llm.common import WORD_GAP, fold, lower_ascii, map_texts, ready, runs, saved, table
 from graphdelta.llm.learning import texts_of
 
-#: Classes of the model: the shared one, the end, and the most frequent words.
+#: Classes of the model: the shared one, the end, ``NAMED`` words, and endings of ``TAIL`` bytes.
 CLASSES, WIDTH = 512, 16
+NAMED, TAIL = 126, 2
 OTHER, END = 0, 1
 #: Rarer words, up to this many, whose counts travel with the tasks as well.
 LOCAL = 1 << 18
@@ -47,27 +49,44 @@ def cut(text: str) -> list[bytes]:
 
 
 class Lexicon:
-    """Places of the frequent words, their counts, and the totals of the training side."""
+    """Places of the frequent words, their counts, the classes of all words, and the totals of the training side."""
 
-    def __init__(self, words: list[str], counts: list[int], ends: int, total: int, distinct: int):
+    def __init__(self, words: list[str], counts: list[int], ends: int, total: int, distinct: int, endings: list[tuple[bytes, int, int]] = ()):
+        """``endings`` are (ending, tokens, words) over all words of the training side."""
         self.index = {w.encode(): i for i, w in enumerate(words)}
         self.missing = len(words)
         self.logs = np.log10(np.array([*counts, 0], dtype=float) + 1)
-        self.named = min(len(words), CLASSES - 2)
+        self.named = min(len(words), NAMED)
         self.ends, self.total, self.distinct = ends, total + ends, distinct + (ends > 0)
-        named = float(sum(counts[: self.named]))
-        self.rest = (total - named) + (distinct - self.named) + 1  # of the shared class, smoothed, with one unseen word
+        tails = {e: [n, d] for e, n, d in endings}
+        for w, c in zip(list(self.index)[: self.named], counts, strict=False):
+            if (tail := tails.get(w[-TAIL:])) is not None:
+                tail[0] -= c
+                tail[1] -= 1
+        chosen = sorted(((e, n, d) for e, (n, d) in tails.items() if n > 0), key=lambda t: (-t[1], t[0]))[: CLASSES - 2 - self.named]
+        first = 2 + self.named
+        self.endings = {e: first + i for i, (e, _, _) in enumerate(chosen)}
+        # tokens and words of the classes that hold several words
+        mass, size = np.zeros(CLASSES), np.zeros(CLASSES)
+        mass[first : first + len(chosen)], size[first : first + len(chosen)] = [n for _, n, _ in chosen], [d for _, _, d in chosen]
+        mass[OTHER], size[OTHER] = total - sum(counts[: self.named]) - mass.sum(), distinct - self.named - size.sum()
+        self.inside = np.log10(mass + size + 1)  # smoothed, with one unseen word
         share = np.full(CLASSES, 0.5)
-        share[OTHER], share[END] = total - named + 1, ends + 0.5
-        share[2 : 2 + self.named] += counts[: self.named]
+        share[END] += ends
+        share[2:first] += counts[: self.named]
+        share += mass
         self.share = share / share.sum()
+        self.kinds = np.array([*range(2, first), *(self.endings.get(w[-TAIL:], OTHER) for w in list(self.index)[self.named :]), OTHER], dtype=np.int64)
 
     def places(self, words: list[bytes]) -> np.ndarray:
         return np.fromiter(map(self.index.get, words, repeat(self.missing)), dtype=np.int64, count=len(words))
 
-    def classes(self, places: np.ndarray) -> np.ndarray:
+    def classes(self, words: list[bytes], places: np.ndarray) -> np.ndarray:
         """Classes of a text's tokens, the end last."""
-        return np.append(np.where(places < self.named, places + 2, OTHER), END)
+        out = np.append(self.kinds[places], END)
+        for i in np.flatnonzero(places == self.missing):
+            out[i] = self.endings.get(words[i][-TAIL:], OTHER)
+        return out
 
 
 def contexts(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -160,7 +179,9 @@ def lexicon(counts: DataFrame, ends: int) -> Lexicon:
             break
         least = r["low"]
     top = counts.filter(F.col("c") >= F.lit(least) if least else F.lit(False)).toPandas().sort_values(["c", "token"], ascending=[False, True])
-    return Lexicon(top["token"].tolist(), top["c"].tolist(), ends, int(total), int(distinct))
+    tail = F.substring(F.col("token").cast("binary"), -TAIL, TAIL)
+    endings = counts.groupBy(tail.alias("e")).agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("d")).collect()  # 256 ** TAIL at most
+    return Lexicon(top["token"].tolist(), top["c"].tolist(), ends, int(total), int(distinct), [(bytes(r["e"]), r["n"], r["d"]) for r in endings])
 
 
 def train(docs: DataFrame, lex: Lexicon) -> LogBilinear:
@@ -169,7 +190,7 @@ def train(docs: DataFrame, lex: Lexicon) -> LogBilinear:
     model = LogBilinear(lex.share)
     ids = docs.filter(F.col("doc_id").isNotNull()).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(FIRST_TEXTS).distinct()
     first = texts_of(docs, ids).orderBy("doc_id").collect()
-    sample = [lex.classes(lex.places(cut(r["text"] or ""))) for r in first]
+    sample = [lex.classes(words, lex.places(words)) for words in (cut(r["text"] or "") for r in first)]
     if not sample:
         return model
     for _ in range(FIRST_PASSES):
@@ -183,7 +204,7 @@ def train(docs: DataFrame, lex: Lexicon) -> LogBilinear:
         start, tokens = mine.flat(), 0
         for batch in batches:
             for texts in runs(batch.column("text").to_pylist()):
-                seqs = [words.classes(words.places(cut(t))) for t in texts]
+                seqs = [words.classes(c, words.places(c)) for c in map(cut, texts)]
                 mine.learn(seqs)
                 tokens += sum(map(len, seqs))
         if tokens:
@@ -211,7 +232,7 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2) -> DataFrame:
         words, net = shared.value
         cuts = [cut(t) for t in texts]
         places = [words.places(c) for c in cuts]
-        classes = [words.classes(p) for p in places]
+        classes = [words.classes(c, p) for c, p in zip(cuts, places, strict=True)]
         named, other = [], []
         for p in places:
             logs = words.logs[p]
@@ -220,14 +241,14 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2) -> DataFrame:
         return {
             "n_tokens": [len(c) for c in classes],
             "n_local": [int((p < words.missing).sum()) + (words.ends > 0) for p in places],
-            "n_other": [int((c == OTHER).sum()) for c in classes],
             "named": named,
             "other": other,
             "net": net.log10(classes),
+            "inside": [float(words.inside[c[(c == OTHER) | (c >= 2 + words.named)]].sum()) for c in classes],
             "rest": [[c[i].decode() for i in np.flatnonzero(p == words.missing)] for c, p in zip(cuts, places, strict=True)],
         }
 
-    added = "n_tokens long, n_local long, n_other long, named double, other double, net double, rest array<string>"
+    added = "n_tokens long, n_local long, named double, other double, net double, inside double, rest array<string>"
     seen = saved(map_texts(docs, ("doc_id",), make, added).withColumn("row", F.monotonically_increasing_id()), "seen")
     rest = seen.select("row", F.explode("rest").alias("token"))
     found = rest.join(counts, "token").groupBy("row").agg(F.sum(F.log10(F.col("c") + 1)).alias("far"), F.count(F.lit(1)).alias("n_far"))
@@ -240,7 +261,7 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2) -> DataFrame:
         (F.col("n_local") + n_far).alias("n_known"),
         F.lit(lex.total).cast("long").alias("train_tokens"),
         (F.col("named") + F.col("other") + far - F.col("n_tokens") * whole).alias("base_score"),
-        (F.col("net") + F.col("other") + far - F.col("n_other") * float(np.log10(lex.rest))).alias("score"),
+        (F.col("net") + F.col("other") + far - F.col("inside")).alias("score"),
     )
 
 

@@ -35,6 +35,25 @@ def test_base_scores_and_normalisation(spark, docs):
     assert lm.score(docs([])).count() == 0
 
 
+def test_every_word_has_a_class_and_shares_sum_to_one():
+    counts = collections.Counter({f"w{i}{'abcd'[i % 4]}x": 1 + 900 // (i + 1) for i in range(600)} | {"é": 7, "z": 3})
+    order = sorted(counts, key=lambda w: (-counts[w], w))
+    tails = collections.Counter(w.encode()[-lm.TAIL :] for w in order)
+    tokens = collections.Counter()
+    for w in order:
+        tokens[w.encode()[-lm.TAIL :]] += counts[w]
+    local = order[:300]  # the others are looked up by their ending alone
+    lex = lm.Lexicon(local, [counts[w] for w in local], 5, sum(counts.values()), len(order), [(e, tokens[e], d) for e, d in tails.items()])
+    words = [w.encode() for w in order]
+    kinds = lex.classes(words, lex.places(words))
+    assert kinds[-1] == lm.END and len(set(kinds[: lm.NAMED])) == lm.NAMED and len(set(kinds[lm.NAMED : -1])) == 6
+    for kind in set(kinds[lm.NAMED : -1]):
+        inside = [counts[w] + 1 for w, k in zip(order, kinds, strict=False) if k == kind]
+        assert abs((sum(inside) + 1) / 10 ** lex.inside[kind] - 1) < 1e-9
+    odd = [b"never", b"x" * 9, b"q"]
+    assert all(k == lm.OTHER or k in lex.endings.values() for k in lex.classes(odd, lex.places(odd))[:-1])
+
+
 def test_near_vectors_equal_brute_force(spark):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(300, 16))
