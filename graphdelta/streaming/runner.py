@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,6 +13,30 @@ from graphdelta.sources.updates import deletes, inserts, normalise
 
 LOG = "op string, src long, dst long, elabel string, ts timestamp, batch_id int"
 UPDATE = "seq long, op string, src long, dst long, elabel string, ts timestamp"
+MARK = "top long, n_late long, batch_id int"
+ACTIVITY = "key long, n long, first timestamp, last timestamp"
+
+
+class Watermark:
+    """Splits off the rows of a batch that lie more than ``delay`` seconds before the latest row of all earlier batches.
+
+    The latest time and the count of late rows of every batch are written to a small table, so a replayed or restarted
+    batch is split as it was the first time.  Rows without a time are never late.
+    """
+
+    def __init__(self, folder: str, delay: int):
+        self.folder, self.delay = folder.rstrip("/"), delay
+
+    def in_time(self, batch: DataFrame, batch_id: int) -> DataFrame:
+        spark, at = batch.sparkSession, F.unix_micros("ts")
+        top = self.marks(spark).filter(F.col("batch_id") < batch_id).agg(F.max("top")).first()[0] if batch_id else None
+        late = F.lit(False) if top is None else F.coalesce(at < top - self.delay * 1_000_000, F.lit(False))
+        batch.agg(F.max(at).alias("top"), F.count(F.when(late, 1)).alias("n_late")).write.mode("overwrite").parquet(f"{self.folder}/marks/batch_id={batch_id}")
+        return batch.filter(~late)
+
+    def marks(self, spark: SparkSession) -> DataFrame:
+        """(top, n_late, batch_id) of every batch so far."""
+        return spark.read.schema(MARK).parquet(f"{self.folder}/marks")
 
 
 class StreamMatcher:
@@ -19,11 +44,13 @@ class StreamMatcher:
 
     The normalised edges of each batch are written beside its matches.  A replayed batch starts from the state before
     it and writes its folders anew; a restarted matcher makes its state from the first edges and the logged batches
-    before the one that comes, so no match is reported twice.
+    before the one that comes, so no match is reported twice.  With ``late``, updates more than so many seconds behind
+    the latest one of earlier batches are counted (``watermark.marks``) and not applied.
     """
 
-    def __init__(self, g: PropertyGraph, q: Pattern, folder: str, method: str = "direct_delta", semantics: str = "iso"):
+    def __init__(self, g: PropertyGraph, q: Pattern, folder: str, method: str = "direct_delta", semantics: str = "iso", late: int | None = None):
         self.folder, self.first = folder.rstrip("/"), (g, q, method, semantics)
+        self.watermark = None if late is None else Watermark(self.folder, late)
         self.states: dict[int, MatchState] = {}
 
     def state_before(self, spark: SparkSession, batch_id: int) -> MatchState:
@@ -39,6 +66,8 @@ class StreamMatcher:
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         state = self.state_before(batch.sparkSession, batch_id)
+        if self.watermark is not None:
+            batch = self.watermark.in_time(batch, batch_id)
         edges = state.arcs.now().filter("src < dst").select("src", "dst", "elabel")
         minus, plus = normalise(batch, edges)
         done = deletes(minus).unionByName(inserts(plus))
@@ -81,3 +110,21 @@ def temporal_wedge(first: DataFrame, second: DataFrame, within: str, late: str =
     return one.join(two, (F.col("b") == F.col("b2")) & (F.col("t2") > F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"interval {within}"))).select("a", "b", "c", "t1", "t2")
 
 
+def activity(events: DataFrame, key: str) -> DataFrame:
+    """Updates of (key, n, first, last): rows of every key and their time span, as state kept by key between triggers.
+
+    A trigger's rows of a key pass in pieces and only the three numbers stay, whatever the key's share of the stream; keys or times
+    that are null are left out.
+    """
+
+    def work(group, pieces, state):
+        n, first, last = state.get if state.exists else (0, None, None)
+        for part in pieces:
+            n += len(part)
+            low, high = part["ts"].min(), part["ts"].max()
+            first, last = low if first is None else min(first, low), high if last is None else max(last, high)
+        state.update((n, first, last))
+        yield pd.DataFrame({"key": [group[0]], "n": [n], "first": [first], "last": [last]})
+
+    rows = events.select(F.col(key).cast("long").alias("key"), "ts").dropna()
+    return rows.groupBy("key").applyInPandasWithState(work, ACTIVITY, ACTIVITY.partition(", ")[2], "update", "NoTimeout")

@@ -333,5 +333,31 @@ def _streams():
         runs.run(runner.file_updates(s, folder))
         return net(runs.matches(s).drop("batch_id"))
 
+    @register("stream_user_activity", "SELECT user_id AS key, count(*) AS n, min(ts) AS first, max(ts) AS last FROM events WHERE user_id IS NOT NULL AND ts IS NOT NULL GROUP BY 1")
+    def user_activity(s, d):
+        folder = f"{shared_dir(s)}/events-{uuid.uuid4().hex}"
+        events = builders.read(s, d, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"))
+        for i in range(3):  # three files, one a trigger, so that state is carried on
+            events.filter(F.pmod("event_id", F.lit(3)) == i).coalesce(1).write.mode("append").parquet(folder)
+        stream = s.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+        every = _finished(runner.activity(stream, "user_id"), "update")
+        return every.groupBy("key").agg(F.max_by(F.struct("n", "first", "last"), "n").alias("x")).select("key", "x.*")
+
+    @register(
+        "stream_late_edges",
+        f"WITH e AS ({INTER}), p AS (SELECT CAST(src % 3 AS INTEGER) AS batch_id, ts FROM e), t AS (SELECT batch_id, max(ts) AS top FROM p GROUP BY 1)"
+        " SELECT t.batch_id, (SELECT count(*) FROM p WHERE p.batch_id = t.batch_id AND p.ts < (SELECT max(top) FROM t x WHERE x.batch_id < t.batch_id) - INTERVAL 7 DAY) AS n_late FROM t",
+    )
+    def late_edges(s, d):
+        g = build(s, d, "interaction")
+        folder = f"{shared_dir(s)}/updates-{uuid.uuid4().hex}"
+        for i in range(3):
+            rows = g.edges.filter(F.pmod("src", F.lit(3)) == i).withColumn("ts", F.col("ts").cast("timestamp"))
+            updates.inserts(rows).withColumn("seq", F.lit(0).cast("long")).coalesce(1).write.mode("append").parquet(folder)
+        nothing = PropertyGraph(g.vertices, g.edges.limit(0).withColumn("ts", F.col("ts").cast("timestamp")))
+        runs = runner.StreamMatcher(nothing, INTER_WEDGE, f"{folder}-run", late=7 * 86_400)
+        runs.run(runner.file_updates(s, folder))
+        return runs.watermark.marks(s).select("batch_id", "n_late")
+
 
 _streams()

@@ -11,7 +11,7 @@ from graphdelta.methods import matchers as M
 from graphdelta.methods.state import apply_batch, maintained, prepare, run
 from graphdelta.sources.graph import numbered, split_stream
 from graphdelta.sources.updates import normalise, slide
-from graphdelta.streaming.runner import StreamMatcher, file_updates
+from graphdelta.streaming.runner import StreamMatcher, Watermark, activity, file_updates
 
 
 def batch_of(spark, ops):
@@ -86,6 +86,30 @@ def test_stream_goes_on_after_a_restart(spark, tmp_path):
     assert rows(got, q, -1) == matches(q, vlabels, graphs[1]) - matches(q, vlabels, graphs[2])
 
 
+def timed_rows(spark, rows):
+    return spark.createDataFrame(rows, "k long, t string").selectExpr("k", "cast(t as timestamp) ts").coalesce(1)
+
+
+def test_late_rows_are_counted_and_split_off(spark, tmp_path):
+    batches = [[(1, "2024-01-05"), (2, "2024-01-01"), (3, None)], [(4, "2024-01-03 23:59:59"), (5, "2024-01-04"), (6, "2024-01-09"), (7, None)], [(8, "2024-01-07"), (9, "2024-01-08")], []]
+    for again in range(2):  # a restart replays all batches
+        mark = Watermark(str(tmp_path), 86_400)
+        got = [{r["k"] for r in mark.in_time(timed_rows(spark, b), i).collect()} for i, b in enumerate(batches)]
+        assert got == [{1, 2, 3}, {5, 6, 7}, {9}, set()]
+        assert [r["n_late"] for r in mark.marks(spark).orderBy("batch_id").collect()] == [0, 1, 1, 0]
+
+
+def test_state_by_key_is_carried_between_triggers(spark, tmp_path):
+    folder, out = str(tmp_path / "in"), {}
+    for b in [[(1, "2024-01-05"), (2, "2024-01-01"), (None, "2024-01-01")], [(1, "2024-01-03"), (1, "2024-01-04"), (2, None)]]:
+        timed_rows(spark, b).write.mode("append").parquet(folder)
+        stream = activity(spark.readStream.schema("k long, ts timestamp").parquet(folder), "k")
+        take = lambda df, i: out.__setitem__(i, {(r["key"], r["n"], str(r["first"])[:10], str(r["last"])[:10]) for r in df.collect()})
+        stream.writeStream.outputMode("update").foreachBatch(take).option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start().awaitTermination()
+    assert out[0] == {(1, 1, "2024-01-05", "2024-01-05"), (2, 1, "2024-01-01", "2024-01-01")}
+    assert out[1] == {(1, 3, "2024-01-03", "2024-01-05")}
+
+
 @pytest.mark.parametrize("ops,minus,plus", [("-+-", 1, 0), ("+-", 1, 0), ("-+", 0, 0), ("+", 0, 0), ("-", 1, 0)])
 def test_the_last_operation_on_a_present_edge_counts(spark, ops, minus, plus):
     edges = edge_df(spark, [(1, 2, "x")])
