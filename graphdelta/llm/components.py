@@ -1,8 +1,8 @@
 """Connected components of a link table, by alternating star contractions.
 
 Each round is two aggregations and two joins over the remaining edges; edges live in the shared folder between
-rounds, never on the driver.  A vertex with very many links costs a partial aggregate and a join side with one
-row per vertex, so no task holds a vertex's neighbours.
+rounds, never on the driver.  A vertex with very many links costs a partial aggregate; its edges meet one row in a
+join, as a stream in one task unless adaptive execution splits the partition, and are never held together in memory.
 """
 
 from __future__ import annotations
