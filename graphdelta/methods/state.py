@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from graphdelta.index.candidates import CandidateIndex
 from graphdelta.index.ledger import COMPACT
 from graphdelta.methods import matchers as M
+from graphdelta.methods.in_turn import batch_of, by_terms_in_turn, timed
 from graphdelta.pattern.model import Pattern, UnsupportedUpdate
 from graphdelta.pattern.shape import Rooted
 from graphdelta.plans import orders
@@ -23,7 +24,7 @@ from graphdelta.plans.relations import Change
 from graphdelta.sources.graph import PropertyGraph, arcs_of
 from graphdelta.sources.stats import relation_sizes
 from graphdelta.sources.storage import cut
-from graphdelta.sources.updates import normalise
+from graphdelta.sources.updates import arrivals, normalise
 
 INDEX_OF = {"tree_index": "tree", "dag_index": "dag", "bottomup_index": "bottomup", "direct_dag": "dag", "tree_dag": "dag", "bottomup_dag": "dag"}
 
@@ -112,7 +113,7 @@ def apply_change(state: MatchState, change: Change, limit: int | None = None, en
 def changes_of(state: MatchState, batch: DataFrame) -> tuple[Change, Change]:
     """A mixed batch (op, src, dst, elabel, ts and perhaps seq) as its deletions and, after them, its insertions."""
     arcs = state.arcs.now()
-    minus, plus = normalise(batch, arcs.filter("src < dst").select("src", "dst", "elabel"))
+    minus, plus = normalise(batch, _edges(state))
     delta = lambda edges: cut(arcs_of(edges, state.vertices), "delta")
     gone = Change(arcs, delta(minus), -1)
     return gone, Change(state.arcs.plus(gone).now() if gone.count() else arcs, delta(plus), 1)
@@ -133,6 +134,49 @@ def apply_batch(state: MatchState, batch: DataFrame, limit: int | None = None, e
     return state, reduce(DataFrame.unionByName, parts)
 
 
+def _edges(state: MatchState) -> DataFrame:
+    return state.arcs.now().filter("src < dst").select("src", "dst", "elabel")
+
+
+def _apply_insertions(state: MatchState, stream: DataFrame) -> tuple[MatchState, DataFrame]:
+    """The state after batches of insertions, and their matches (t, vertices), each at the moment of its batch and term."""
+    q, semantics, method = state.q, state.semantics, state.method
+    arcs = state.arcs.now()
+    delta = cut(arcs_of(arrivals(stream, _edges(state)), state.vertices), "delta")
+    change = Change(arcs, delta.drop("batch_id"), 1)
+    M.check_support(method, change)
+    rels = timed(arcs, delta, q)
+    after = replace(state, arcs=state.arcs.plus(change))
+    return after, by_terms_in_turn(rels, q, lambda k, x, y: orders.order_direct(q, (x, y)), semantics)
+
+
+#: Methods whose batches of insertions run in one plan; the others take one batch after the other.
+TOGETHER = ("direct_delta",)
+
+
+def apply_batches(state: MatchState, stream: DataFrame) -> tuple[MatchState, DataFrame]:
+    """The state after the batches of a stream (batch_id, op, src, dst, elabel, ts and perhaps seq) in the order of their
+    ids, and all their signed matches with ``batch_id``: what ``apply_batch`` gives for one batch after the other.
+
+    Batches of insertions that follow each other run in one plan; a batch with a deletion is applied by itself.
+    """
+    stream, q, parts = cut(stream, "stream"), state.q, []
+    alone = stream if state.method not in TOGETHER else stream.filter("op = '-'")
+    ids = sorted(r[0] for r in alone.select("batch_id").distinct().collect())
+    for low, i in zip([None, *ids], [*ids, None], strict=True):
+        if state.method in TOGETHER:
+            run_of = stream.filter((F.lit(True) if low is None else F.col("batch_id") > low) & (F.lit(True) if i is None else F.col("batch_id") < i))
+            if not run_of.isEmpty():
+                state, found = _apply_insertions(state, run_of)
+                parts.append(found.select(batch_of("t", q).alias("batch_id"), *[f"m{u}" for u in range(q.n)], F.lit(1).cast("int").alias("sign")))
+        if i is not None:
+            state, found = apply_batch(state, stream.filter(F.col("batch_id") == i).drop("batch_id"))
+            parts.append(cut(found.select(F.lit(i).cast("long").alias("batch_id"), *[f"m{u}" for u in range(q.n)], "sign"), "found"))
+    if not parts:
+        parts = [stream.sparkSession.createDataFrame([], ", ".join(["batch_id long", *[f"m{u} long" for u in range(q.n)], "sign int"]))]
+    return state, reduce(DataFrame.unionByName, parts)
+
+
 def maintained(result: DataFrame, signed: DataFrame) -> DataFrame:
     """A stored result brought up to date by signed matches; what a batch took away and brought back stays."""
     cols = [c for c in signed.columns if c != "sign"]
@@ -169,4 +213,4 @@ def run(state: MatchState, batches: list[DataFrame], enumerate_matches: bool = T
     return state, reports
 
 
-__all__ = ["ArcStore", "MatchState", "UnsupportedUpdate", "apply_batch", "apply_change", "changes_of", "maintained", "prepare", "run"]
+__all__ = ["ArcStore", "MatchState", "UnsupportedUpdate", "apply_batch", "apply_batches", "apply_change", "changes_of", "maintained", "prepare", "run"]

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from graphdelta import queries as Q
 from graphdelta.index.candidates import label_candidates
 from graphdelta.methods import matchers as M
-from graphdelta.methods.state import apply_batch, maintained, prepare
+from graphdelta.methods.state import apply_batch, apply_batches, maintained, prepare
 from graphdelta.operators import relational as R
 from graphdelta.operators.extend import match
 from graphdelta.pattern.model import Pattern
@@ -135,12 +135,8 @@ def _by_batch_sql(q: Pattern) -> str:
 def _in_turn(method: str, q: Pattern):
     def run(s, d):
         g, new = s90(s, d, "copurchase")
-        stream = cut(updates.batches(new, SIZE), "stream")
-        state, parts = prepare(g, q, method), []
-        for i in range(-(-stream.count() // SIZE)):
-            state, found = apply_batch(state, stream.filter(F.col("batch_id") == i))
-            parts.append(found.select(F.lit(i).cast("long").alias("batch_id")))
-        return reduce(DataFrame.unionByName, parts).groupBy("batch_id").agg(F.count(F.lit(1)).alias("n"))
+        _, found = apply_batches(prepare(g, q, method), updates.batches(new, SIZE))
+        return found.groupBy("batch_id").agg(F.count(F.lit(1)).alias("n"))
 
     return run
 
