@@ -1,9 +1,10 @@
-"""Local recomputation writes what walks along the pattern reach."""
+"""Local recomputation writes what walks along the pattern reach; advice follows the graph's own degree."""
 
 from brute import matches
 from test_methods import PATTERNS, edge_df, graph, rows
 
 from graphdelta.methods import matchers as M
+from graphdelta.queries import QUERIES
 from graphdelta.sources.updates import insertion
 
 
@@ -17,3 +18,13 @@ def test_local_recompute_leaves_out_what_no_walk_reaches(spark, monkeypatch):
     found = M.local_recompute(insertion(graph(spark, vlabels, old), edge_df(spark, new)), q, serialise=True)
     assert rows(found, q, 1) == matches(q, vlabels, old + new) - matches(q, vlabels, old) != set()
     assert max(sizes) < 30  # the arcs to C alone are 408
+
+
+def test_advice_follows_the_degree(spark, tmp_path):
+    spark.createDataFrame([(1, 1, 1), (1, 2, 2), (2, 1, 3), (2, 2, 4)], "l_orderkey long, l_linenumber int, l_partkey long").write.parquet(str(tmp_path / "lineitem.parquet"))
+    spark.sql("select id o_orderkey, timestamp'2024-01-01' o_orderdate from range(1, 3)").write.parquet(str(tmp_path / "orders.parquet"))
+    spark.sql("select id p_partkey, 'PROMO' p_type from range(1, 5)").write.parquet(str(tmp_path / "part.parquet"))
+    thin = {r["pid"]: r for r in QUERIES["advise_table"](spark, str(tmp_path)).collect()}
+    assert {r["avg_degree"] for r in thin.values()} == {1.0} and thin["sparse6"]["order_choice"] == "direct"
+    dense = {r["pid"]: r for r in QUERIES["advise_table"](spark, "/root/testdata/sf0.001").collect()}
+    assert dense["sparse6"]["avg_degree"] > 4 and dense["sparse6"]["order_choice"] == "dag"
