@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from graphdelta.index.candidates import CandidateIndex
 from graphdelta.index.ledger import COMPACT
 from graphdelta.methods import matchers as M
-from graphdelta.methods.in_turn import batch_of, by_terms_in_turn, timed
+from graphdelta.methods.in_turn import adaptive_in_turn, batch_of, bottomup_in_turn, by_terms_in_turn, lives, pruned, timed
 from graphdelta.pattern.model import Pattern, UnsupportedUpdate
 from graphdelta.pattern.shape import Rooted
 from graphdelta.plans import orders
@@ -139,19 +139,35 @@ def _edges(state: MatchState) -> DataFrame:
 
 
 def _apply_insertions(state: MatchState, stream: DataFrame) -> tuple[MatchState, DataFrame]:
-    """The state after batches of insertions, and their matches (t, vertices), each at the moment of its batch and term."""
+    """The state after batches of insertions, and their matches (batch_id, vertices, sign) as of each batch's turn."""
     q, semantics, method = state.q, state.semantics, state.method
     arcs = state.arcs.now()
     delta = cut(arcs_of(arrivals(stream, _edges(state)), state.vertices), "delta")
     change = Change(arcs, delta.drop("batch_id"), 1)
     M.check_support(method, change)
-    rels = timed(arcs, delta, q)
     after = replace(state, arcs=state.arcs.plus(change))
-    return after, by_terms_in_turn(rels, q, lambda k, x, y: orders.order_direct(q, (x, y)), semantics)
+    if method == "cached_join_tree":
+        found, tree = state.tree.insert(Change(arcs, delta, 1, change.size))
+        return replace(after, tree=tree), found
+    rels = timed(arcs, delta, q)
+    if state.index is not None:
+        after = replace(after, index=state.index.updated(change))
+    if method == "bottomup_index":
+        found = bottomup_in_turn(q, state.index.shape, rels, state.vertices, semantics)
+    else:
+        if state.index is not None:
+            rels = pruned(rels, q, lives(q, state.index.shape, rels, state.vertices))
+        if method == "dag_index":
+            found = adaptive_in_turn(rels, q, semantics)
+        elif state.chosen is not None:
+            found = by_terms_in_turn(rels, q, M.tree_orders(q, *state.chosen), semantics)
+        else:
+            found = by_terms_in_turn(rels, q, lambda k, x, y: orders.order_direct(q, (x, y)), semantics)
+    return after, found.select(batch_of("t", q).alias("batch_id"), *[f"m{u}" for u in range(q.n)], F.lit(1).cast("int").alias("sign"))
 
 
 #: Methods whose batches of insertions run in one plan; the others take one batch after the other.
-TOGETHER = ("direct_delta",)
+TOGETHER = ("direct_delta", "cached_join_tree")
 
 
 def apply_batches(state: MatchState, stream: DataFrame) -> tuple[MatchState, DataFrame]:
@@ -168,7 +184,7 @@ def apply_batches(state: MatchState, stream: DataFrame) -> tuple[MatchState, Dat
             run_of = stream.filter((F.lit(True) if low is None else F.col("batch_id") > low) & (F.lit(True) if i is None else F.col("batch_id") < i))
             if not run_of.isEmpty():
                 state, found = _apply_insertions(state, run_of)
-                parts.append(found.select(batch_of("t", q).alias("batch_id"), *[f"m{u}" for u in range(q.n)], F.lit(1).cast("int").alias("sign")))
+                parts.append(found)
         if i is not None:
             state, found = apply_batch(state, stream.filter(F.col("batch_id") == i).drop("batch_id"))
             parts.append(cut(found.select(F.lit(i).cast("long").alias("batch_id"), *[f"m{u}" for u in range(q.n)], "sign"), "found"))
