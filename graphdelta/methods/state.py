@@ -167,7 +167,7 @@ def _apply_insertions(state: MatchState, stream: DataFrame) -> tuple[MatchState,
 
 
 #: Methods whose batches of insertions run in one plan; the others take one batch after the other.
-TOGETHER = ("direct_delta", "cached_join_tree", "direct_dag", "tree_index", "tree_dag", "bottomup_index")
+TOGETHER = ("direct_delta", "cached_join_tree", "direct_dag", "tree_index", "tree_dag", "bottomup_index", "dag_index")
 
 
 def apply_batches(state: MatchState, stream: DataFrame) -> tuple[MatchState, DataFrame]:
