@@ -4,7 +4,7 @@ from brute import matches
 from test_methods import PATTERNS, edge_df, graph, rows
 
 from graphdelta.methods import matchers as M
-from graphdelta.queries import QUERIES
+from graphdelta.queries import ORACLES, QUERIES
 from graphdelta.sources.updates import insertion
 
 
@@ -28,3 +28,10 @@ def test_advice_follows_the_degree(spark, tmp_path):
     assert {r["avg_degree"] for r in thin.values()} == {1.0} and thin["sparse6"]["order_choice"] == "direct"
     dense = {r["pid"]: r for r in QUERIES["advise_table"](spark, "/root/testdata/sf0.001").collect()}
     assert dense["sparse6"]["avg_degree"] > 4 and dense["sparse6"]["order_choice"] == "dag"
+
+
+def test_local_recompute_of_the_path_takes_the_whole_batch(spark):
+    d = "/root/testdata/sf0.001"
+    local, direct = ([tuple(r) for r in QUERIES[f"delta_{m}_path4"](spark, d).collect()] for m in ("local_recompute", "direct_delta"))
+    assert sorted(local) == sorted(direct) != []
+    assert ORACLES["delta_local_recompute_path4"] == ORACLES["delta_direct_delta_path4"]
